@@ -2,11 +2,23 @@
 
 from __future__ import annotations
 
+from ripplegraph.llm import op2_warc as op2
 from ripplegraph.llm import op3_substring_dedup as op3
+from ripplegraph.llm import op4_url_filter as op4
+from ripplegraph.llm import op5_ngram_join as op5
+from ripplegraph.llm import op10_mixing as op10
 
 QUERIES = {
+    "op2_warc": op2.op2_warc,
     "op3_substring_dedup": op3.op3_substring_dedup,
+    "op4_url_filter": op4.op4_url_filter,
+    "op5_ngram_join": op5.op5_ngram_join,
+    "op10_mixing": op10.op10_mixing,
 }
 ORACLES = {
+    "op2_warc": op2.ORACLE,
     "op3_substring_dedup": op3.ORACLE,
+    "op4_url_filter": op4.ORACLE,
+    "op5_ngram_join": op5.ORACLE,
+    "op10_mixing": op10.ORACLE,
 }

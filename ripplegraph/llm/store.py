@@ -1,49 +1,16 @@
-"""Scratch tables in the folder that every executor shares, and helpers for rows of unknown quality."""
+"""Helpers for text columns and tables of unknown quality."""
 
 from __future__ import annotations
 
-import gc
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: One or more of the six ASCII separators; everything else belongs to a word.
-SEPARATORS = r"[\x20\x09-\x0D]+"
-#: The tables broadcast by this package hold at most so many rows, counted before the join is planned.
-BROADCAST_ROWS = 50_000
-
-
-class Scratch:
-    """Written tables that cut lineage and survive lost executors.
-
-    The folder is ``spark.checkpoint.dir`` of the session. Only where that is unset (tests on one
-    machine) a temporary folder is made.
-    """
-
-    def __init__(self, spark: SparkSession, tag: str) -> None:
-        self.spark = spark
-        root = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/ripplegraph-scratch"
-        self.root = f"{root.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
-
-    def path(self, name: str) -> str:
-        return f"{self.root}/{name}"
-
-    def save(self, df: DataFrame, name: str) -> DataFrame:
-        """Write ``df`` once and return a frame that reads what was written."""
-        df.write.mode("overwrite").parquet(self.path(name))
-        self.release()
-        return self.spark.read.schema(df.schema).parquet(self.path(name))
+from ripplegraph.plans.scratch import BROADCAST_ROWS, Scratch, bounded_broadcast
 
-    def drop(self, name: str) -> None:
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(self.path(name))
-        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+__all__ = ["BROADCAST_ROWS", "SEPARATORS", "Scratch", "ascii_lower", "bounded_broadcast", "keyed", "same_row", "table", "text_of", "words_of"]
 
-    def release(self) -> None:
-        """Let Spark remove shuffle files of stages whose results are written."""
-        gc.collect()
-        self.spark._jvm.System.gc()
+#: One or more of the six ASCII separators; everything else belongs to a word.
+SEPARATORS = r"[\x20\x09-\x0D]+"
 
 
 def text_of(column: str | Column) -> Column:
@@ -61,10 +28,14 @@ def words_of(column: str | Column) -> Column:
     return F.filter(F.split(text_of(column), SEPARATORS), lambda w: w != "")
 
 
-def bounded_broadcast(df: DataFrame, rows: int) -> DataFrame:
-    """``df`` marked for broadcast if its counted rows stay within the bound; else as it is, for a shuffled join."""
-    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
-
-
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def keyed(docs: DataFrame) -> DataFrame:
+    """(doc_id, text, th): rows are known by their id and a hash of their text, as ids may repeat or be null."""
+    return docs.select(F.col("doc_id").cast("long"), text_of("text").alias("text")).withColumn("th", F.xxhash64("text"))
+
+
+def same_row(left: DataFrame, right: DataFrame) -> Column:
+    return left["doc_id"].eqNullSafe(right["doc_id"]) & (left["th"] == right["th"])
