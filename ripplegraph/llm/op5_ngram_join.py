@@ -241,15 +241,19 @@ class NgramJoin:
 
     def classes(self) -> None:
         value, times = rarity_table(self.rows)
-        self.sets = self.scratch.save(self.rows.mapInArrow(_set_rows(value, times), _SETS), "sets")
-        one = self.sets.where("n > 0").groupBy("lo", "hi").agg(F.first("n").alias("n"), F.min("doc_id").alias("least_id"), F.min(F.struct("doc_id", "th")).alias("row"), F.first("hist").alias("hist"), F.first("prefix").alias("prefix"))
-        self.by_class = self.scratch.save(one.withColumn("cid", F.monotonically_increasing_id()), "classes")
+        sets = self.scratch.save(self.rows.mapInArrow(_set_rows(value, times), _SETS), "sets")
+        one = sets.where("n > 0").groupBy("lo", "hi").agg(F.first("n").alias("n"), F.min("doc_id").alias("least_id"), F.min(F.struct("doc_id", "th")).alias("row"), F.first("hist").alias("hist"), F.first("prefix").alias("prefix"))
+        self.prefixes = self.scratch.save(one.withColumn("cid", F.monotonically_increasing_id()), "prefixes")
+        self.sets = self.scratch.save(sets.select("doc_id", "th", "n", "lo", "hi"), "members")
+        self.scratch.drop("sets")
         self.scratch.release()
 
     def postings(self) -> None:
         order = ["shingle", "pos", "cid"]
-        flat = self.by_class.select("cid", F.col("n").cast("int").alias("n"), F.posexplode("prefix").alias("pos", "shingle"))
+        flat = self.prefixes.select("cid", F.col("n").cast("int").alias("n"), F.posexplode("prefix").alias("pos", "shingle"))
         self.kept = self.scratch.save(flat.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(_stars, _KEPT), "kept")
+        self.by_class = self.scratch.save(self.prefixes.drop("prefix"), "classes")
+        self.scratch.drop("prefixes")
         self.scratch.release()
 
     def star_pairs(self) -> DataFrame:
@@ -267,6 +271,7 @@ class NgramJoin:
         keys = bounded_broadcast(keys, keys.count())
         texts = self.rows.join(keys, same_row(self.rows, keys)).select("cid", "text").dropDuplicates(["cid"])
         blobs = self.scratch.save(texts.mapInArrow(_set_blobs, "cid long, set binary"), f"{name}-blobs")
+        self.scratch.release()
         whole = likely.join(blobs.toDF("a", "set_a"), "a").join(blobs.toDF("b", "set_b"), "b")
         links = self.scratch.save(whole.mapInArrow(_verify, "a long, b long"), f"{name}-links")
         self.scratch.drop(f"{name}-blobs")
@@ -302,7 +307,7 @@ class NgramJoin:
         least = self.scratch.save(of.groupBy("component").agg(F.min("least_id").alias("component_id")), "least")
         joined = self.scratch.save(of.join(bounded_broadcast(least, least.count()), "component").select(F.col("id").alias("cid"), "component_id"), "joined")
         named = self.scratch.save(self.by_class.select("cid", "lo", "hi", "least_id").join(joined, "cid", "left").select("lo", "hi", F.when(F.col("cid").isNotNull(), F.coalesce("component_id", "least_id")).alias("component_id")), "named")
-        return self.sets.select("doc_id", "th", "n", "lo", "hi").join(named, ["lo", "hi"], "left").select("doc_id", "th", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+        return self.sets.join(named, ["lo", "hi"], "left").select("doc_id", "th", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
 def ngram_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
