@@ -6,6 +6,7 @@ from ripplegraph.llm import op2_warc as op2
 from ripplegraph.llm import op3_substring_dedup as op3
 from ripplegraph.llm import op4_url_filter as op4
 from ripplegraph.llm import op5_ngram_join as op5
+from ripplegraph.llm import op9_quality as op9
 from ripplegraph.llm import op10_mixing as op10
 
 QUERIES = {
@@ -13,6 +14,7 @@ QUERIES = {
     "op3_substring_dedup": op3.op3_substring_dedup,
     "op4_url_filter": op4.op4_url_filter,
     "op5_ngram_join": op5.op5_ngram_join,
+    "op9_quality": op9.op9_quality,
     "op10_mixing": op10.op10_mixing,
 }
 ORACLES = {
