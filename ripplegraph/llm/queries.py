@@ -7,6 +7,7 @@ from ripplegraph.llm import op3_substring_dedup as op3
 from ripplegraph.llm import op4_url_filter as op4
 from ripplegraph.llm import op5_ngram_join as op5
 from ripplegraph.llm import op6_decontamination as op6
+from ripplegraph.llm import op7_toxicity as op7
 from ripplegraph.llm import op8_pii as op8
 from ripplegraph.llm import op9_quality as op9
 from ripplegraph.llm import op10_mixing as op10
@@ -17,6 +18,7 @@ QUERIES = {
     "op4_url_filter": op4.op4_url_filter,
     "op5_ngram_join": op5.op5_ngram_join,
     "op6_decontamination": op6.op6_decontamination,
+    "op7_toxicity": op7.op7_toxicity,
     "op8_pii": op8.op8_pii,
     "op9_quality": op9.op9_quality,
     "op10_mixing": op10.op10_mixing,
