@@ -57,6 +57,7 @@ class Words:
     end: np.ndarray
     doc: np.ndarray  # of each word, counted from first
     start: np.ndarray  # first word of each text, and the end of the last
+    offsets: np.ndarray | None = None  # first byte of each text, and the end of the last
 
     def hashes(self, base: int = 0) -> np.ndarray:
         """64-bit hashes of the words."""
@@ -86,7 +87,7 @@ def spans_hash(hashed: np.ndarray, begin: np.ndarray, end: np.ndarray, base: int
     return mix(value ^ (end - begin).astype(np.uint64))
 
 
-def slices(texts: pa.Array, lower: bool = False) -> Iterator[Words]:
+def slices(texts: pa.Array, lower: bool = False, separating: np.ndarray = _SEP) -> Iterator[Words]:
     """Cut a batch of texts into words, a slice at a time."""
     if isinstance(texts, pa.ChunkedArray):
         texts = texts.combine_chunks()
@@ -104,14 +105,14 @@ def slices(texts: pa.Array, lower: bool = False) -> Iterator[Words]:
         data = raw[offsets[i] : offsets[j]]
         if lower:
             data = _LOWER[data]
-        yield cut(data, offsets[i : j + 1] - offsets[i], i)
+        yield cut(data, offsets[i : j + 1] - offsets[i], i, separating)
         i = j
 
 
-def cut(data: np.ndarray, offsets: np.ndarray, first: int) -> Words:
+def cut(data: np.ndarray, offsets: np.ndarray, first: int, separating: np.ndarray = _SEP) -> Words:
     n = len(data)
     inside = np.zeros(n + 1, dtype=bool)
-    inside[:n] = ~_SEP[data]
+    inside[:n] = ~separating[data]
     starts_doc = np.zeros(n + 1, dtype=bool)
     starts_doc[offsets] = True
     before = np.zeros(n + 1, dtype=bool)
@@ -120,7 +121,7 @@ def cut(data: np.ndarray, offsets: np.ndarray, first: int) -> Words:
     end = np.flatnonzero(before & (~inside | starts_doc))
     start = np.searchsorted(begin, offsets)
     doc = np.repeat(np.arange(len(offsets) - 1), np.diff(start))
-    return Words(first, len(offsets) - 1, data, begin, end, doc, start)
+    return Words(first, len(offsets) - 1, data, begin, end, doc, start, offsets)
 
 
 def window_min(values: np.ndarray, width: int) -> np.ndarray:

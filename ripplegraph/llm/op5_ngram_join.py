@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ripplegraph.llm import kernel as K
-from ripplegraph.llm.store import Scratch, bounded_broadcast, keyed, same_row, table
+from ripplegraph.llm.store import Scratch, bounded_broadcast, keyed, same_row, table, text_of
 from ripplegraph.operators.components import components
 
 SHINGLE = 5
@@ -293,7 +293,7 @@ class NgramJoin:
         return self.scratch.save(pairs.join(tried, ["a", "b"], "left_anti"), "across")
 
     def run(self) -> DataFrame:
-        """(doc_id, th, n_shingles, component_id) for each row."""
+        """(doc_id, th, n_shingles, group, component_id) for each row; group numbers components, null for empty sets."""
         self.classes()
         self.postings()
         stars = self.scratch.save(self.star_pairs(), "stars")
@@ -305,16 +305,31 @@ class NgramJoin:
             labels = components(self.spark, links.unionByName(more).toDF("src", "dst"), self.scratch)
         of = self.scratch.save(labels.join(self.by_class.select(F.col("cid").alias("id"), "least_id"), "id"), "linked")
         least = self.scratch.save(of.groupBy("component").agg(F.min("least_id").alias("component_id")), "least")
-        joined = self.scratch.save(of.join(bounded_broadcast(least, least.count()), "component").select(F.col("id").alias("cid"), "component_id"), "joined")
-        named = self.scratch.save(self.by_class.select("cid", "lo", "hi", "least_id").join(joined, "cid", "left").select("lo", "hi", F.when(F.col("cid").isNotNull(), F.coalesce("component_id", "least_id")).alias("component_id")), "named")
-        return self.sets.join(named, ["lo", "hi"], "left").select("doc_id", "th", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+        joined = self.scratch.save(of.join(bounded_broadcast(least, least.count()), "component").select(F.col("id").alias("cid"), "component", "component_id"), "joined")
+        named = self.scratch.save(self.by_class.select("cid", "lo", "hi", "least_id").join(joined, "cid", "left").select("lo", "hi", F.coalesce("component", "cid").alias("group"), F.coalesce("component_id", "least_id").alias("component_id")), "named")
+        return self.sets.join(named, ["lo", "hi"], "left").select("doc_id", "th", F.col("n").alias("n_shingles"), "group", F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
 def ngram_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """One row per input row: doc_id, th (a hash of its text), n_shingles, component_id."""
+    """One row per input row: doc_id, th (a hash of its text), n_shingles, group, component_id."""
     return NgramJoin(spark, docs).run()
 
 
+def one_of_each(spark: SparkSession, docs: DataFrame) -> DataFrame:
+    """``docs`` with one row of each component: that of the smallest id (null last). Texts without words all stay."""
+    scratch = Scratch(spark, "op5")
+    found = scratch.save(NgramJoin(spark, docs, scratch).run(), "found")
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "th"))
+    kept = found.where("group is not null").groupBy("group").agg(least.alias("row")).select("row.doc_id", "row.th")
+    empty = found.where("group is null").select("doc_id", "th").distinct()
+    kept = scratch.save(kept.withColumn("one", F.lit(True)).unionByName(empty.withColumn("one", F.lit(False))), "kept-rows").toDF("_id", "_th", "_one")
+    scratch.release()
+    rows = docs.withColumn("_own", F.xxhash64(text_of("text")))
+    chosen = rows.join(kept, rows["doc_id"].cast("long").eqNullSafe(kept["_id"]) & (rows["_own"] == kept["_th"]))
+    copy = F.when(F.col("_one"), F.lit(0).cast("long")).otherwise(F.monotonically_increasing_id() + 1)
+    return chosen.withColumn("_copy", copy).dropDuplicates(["_id", "_th", "_copy"]).select(*docs.columns)
+
+
 def op5_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_components(spark, table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id")
 

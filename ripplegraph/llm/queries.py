@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from ripplegraph.llm import op1_license_scan as op1
 from ripplegraph.llm import op2_warc as op2
 from ripplegraph.llm import op3_substring_dedup as op3
 from ripplegraph.llm import op4_url_filter as op4
@@ -13,6 +14,7 @@ from ripplegraph.llm import op9_quality as op9
 from ripplegraph.llm import op10_mixing as op10
 
 QUERIES = {
+    "op1_license_scan": op1.op1_license_scan,
     "op2_warc": op2.op2_warc,
     "op3_substring_dedup": op3.op3_substring_dedup,
     "op4_url_filter": op4.op4_url_filter,
