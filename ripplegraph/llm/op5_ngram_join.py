@@ -4,9 +4,9 @@ A document's set holds its distinct 5-word shingles (A-Z lower-cased; a shorter
 whole). Documents link when 100 * intersection >= 75 * union.
 
 1. Equal sets form a class, kept once. Copies cost one row each from here on.
-2. Order. A table of fixed size (``RARITY_ROWS``) holds the most frequent shingles; shingles that are not
-   in it count as rarer than those in it, ties go by hash. The table shapes the cost and never the result:
-   any order that all share is exact.
+2. Order. Two tables of fixed size (``RARITY_ROWS``) hold the most frequent shingles and words. Shingles that
+   are in the first come last, by their count; others go by how frequent their words make them, then by
+   hash. The tables shape the cost and never the result: any order that all share is exact.
 3. Postings. Only the prefix of ``n - ceil(0.75 n) + 1`` rarest shingles of a set is emitted: sets that
    link share one of these. Postings are sorted over ranges of (shingle, position), which also splits hot
    shingles; shingles of one class only are dropped there.
@@ -14,8 +14,10 @@ whole). Documents link when 100 * intersection >= 75 * union.
    has the shingle at the earliest position of its prefix) and with its neighbour: pairs in proportion to
    the list. The length and positional filters are applied at once; the suffix filter bounds the overlap
    by histograms of the hash space; survivors are verified on whole sets.
-5. The rest. Components of the links found are labelled; in lists that hold several components, all pairs
-   across components become candidates in the same way. Pairs within a component need no link any more.
+   First each class is tried with the partner that it shares most with, then the other pairs across the
+   components that this leaves.
+5. The rest. In lists that still hold several components, all pairs across components become candidates in
+   the same way. Pairs within a component need no link any more.
 
 So links between classes are lost only where both ends are joined already. A null or empty text has an
 empty set and links with nothing. Ids may be null (then the component is of the other ids, or null if
@@ -45,9 +47,9 @@ _SETS = "doc_id long, th long, n long, lo long, hi long, hist binary, prefix arr
 _KEPT = "shingle long, cid long, n int, pos int, head long, prev long"
 
 
-def shingle_sets(words: K.Words) -> list[np.ndarray]:
-    """The sorted distinct shingle hashes of each text of a slice."""
-    hashed = words.hashes()
+def shingle_sets(words: K.Words, hashed: np.ndarray | None = None, places: list[np.ndarray] | None = None) -> list[np.ndarray]:
+    """The sorted distinct shingle hashes of each text of a slice; ``places`` gets the first word of each."""
+    hashed = words.hashes() if hashed is None else hashed
     gram = K.grams(hashed, SHINGLE)
     start = words.start
     size = np.diff(start)
@@ -56,43 +58,68 @@ def shingle_sets(words: K.Words) -> list[np.ndarray]:
     out = []
     for k in range(words.n_docs):
         n = size[k]
-        if n >= SHINGLE:
+        if n < SHINGLE:
+            out.append(np.array([whole[k]] if n else [], dtype=np.uint64))
+            at = np.arange(len(out[-1]))
+        elif places is None:
             out.append(np.unique(gram[start[k] : start[k + 1] - SHINGLE + 1]))
+            continue
         else:
-            out.append(np.array([whole[k]] if n else [], dtype=np.uint64))
+            own, at = np.unique(gram[start[k] : start[k + 1] - SHINGLE + 1], return_index=True)
+            out.append(own)
+        if places is not None:
+            places.append(start[k] + at)
     return out
 
 
 def _frequent(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Shingles of three documents or more, by blocks of documents."""
+    """Shingles of three documents or more, and the words used most, by blocks of documents."""
 
-    def counted(sets: list[np.ndarray]) -> pa.RecordBatch:
-        value, times = np.unique(np.concatenate(sets), return_counts=True)
+    def counted(kind: str, parts: list[np.ndarray]) -> pa.RecordBatch:
+        value, times = np.unique(np.concatenate(parts), return_counts=True)
         often = times > 2
-        return pa.RecordBatch.from_arrays([pa.array(K.signed(value[often])), pa.array(times[often].astype(np.int64))], ["shingle", "times"])
+        return pa.RecordBatch.from_arrays([pa.array([kind] * int(often.sum()), pa.string()), pa.array(K.signed(value[often])), pa.array(times[often].astype(np.int64))], ["kind", "value", "times"])
 
-    held: list[np.ndarray] = []
+    sets: list[np.ndarray] = []
+    words: list[np.ndarray] = []
     size = 0
     for batch in batches:
         for w in K.slices(batch.column("text"), lower=True):
-            sets = shingle_sets(w)
-            held += sets
-            size += sum(map(len, sets))
+            words.append(w.hashes())
+            sets += shingle_sets(w, words[-1])
+            size += len(words[-1])
             if size > _BLOCK:
-                yield counted(held)
-                held, size = [], 0
-    if held:
-        yield counted(held)
+                yield counted("shingle", sets)
+                yield counted("word", words)
+                sets, words, size = [], [], 0
+    if words:
+        yield counted("shingle", sets)
+        yield counted("word", words)
+
 
+Table = tuple[np.ndarray, np.ndarray]
+
+
+def rarity_tables(docs: DataFrame, rows: int = RARITY_ROWS) -> tuple[Table, Table]:
+    """The most frequent shingles and words and their counts, at most ``rows`` each: sorted by hash."""
+    summed = docs.select("text").mapInArrow(_frequent, "kind string, value long, times long").groupBy("kind", "value").agg(F.sum("times").alias("times"))
+    summed = summed.withColumn("pick", F.when(F.col("kind") == "shingle", F.struct("times", "value")))
+    summed = summed.withColumn("word", F.when(F.col("kind") == "word", F.struct("times", "value")))
+    out = []
+    for kind in ("pick", "word"):
+        top = summed.where(F.col(kind).isNotNull()).select(f"{kind}.*").orderBy(F.desc("times"), "value").limit(rows).toArrow()
+        value, times = top["value"].to_numpy().view(np.uint64), top["times"].to_numpy()
+        order = np.argsort(value)
+        out.append((value[order], times[order]))
+    return out[0], out[1]
 
-def rarity_table(docs: DataFrame, rows: int = RARITY_ROWS) -> tuple[np.ndarray, np.ndarray]:
-    """The most frequent shingles and their counts, at most ``rows``: sorted by hash."""
-    text = docs.select("text")
-    top = text.mapInArrow(_frequent, "shingle long, times long").groupBy("shingle").agg(F.sum("times").alias("times")).orderBy(F.desc("times"), "shingle").limit(rows)
-    found = top.toArrow()
-    value, times = found["shingle"].to_numpy().view(np.uint64), found["times"].to_numpy()
-    order = np.argsort(value)
-    return value[order], times[order]
+
+def _times(table_: Table, values: np.ndarray) -> np.ndarray:
+    value, times = table_
+    if not len(value) or not len(values):
+        return np.zeros(len(values), dtype=np.int64)
+    at = np.minimum(np.searchsorted(value, values), len(value) - 1)
+    return np.where(value[at] == values, times[at], 0)
 
 
 def needed(n: np.ndarray | int, m: np.ndarray | int) -> np.ndarray | int:
@@ -100,17 +127,19 @@ def needed(n: np.ndarray | int, m: np.ndarray | int) -> np.ndarray | int:
     return -((-PERCENT * (n + m)) // (100 + PERCENT))
 
 
-def _set_rows(value: np.ndarray, times: np.ndarray):
+def _set_rows(shingles: Table, words: Table):
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for w in K.slices(batch.column("text"), lower=True):
-                sets = shingle_sets(w)
+                hashed = w.hashes()
+                places: list[np.ndarray] = []
+                sets = shingle_sets(w, hashed, places)
                 n = np.array([len(s) for s in sets])
                 flat = np.concatenate(sets)
-                often = np.zeros(len(flat), dtype=np.int64)
-                if len(value) and len(flat):
-                    at = np.minimum(np.searchsorted(value, flat), len(value) - 1)
-                    often = np.where(value[at] == flat, times[at], 0)
+                often = _times(shingles, flat)
+                used = np.concatenate(([0], np.cumsum((16 * np.log2(1 + _times(words, hashed))).astype(np.int64))))
+                at = np.concatenate(places).astype(np.int64)
+                likely = used[np.minimum(at + SHINGLE, len(hashed))] - used[at] if len(at) else at
                 ends = np.cumsum(n)
                 mixed = [K.mix(flat ^ np.uint64(0x5851F42D4C957F2D)), K.mix(flat + np.uint64(0x14057B7EF767814F))]
                 sums = [np.concatenate((np.zeros(1, np.uint64), np.cumsum(x, dtype=np.uint64))) for x in mixed]
@@ -120,9 +149,8 @@ def _set_rows(value: np.ndarray, times: np.ndarray):
                     a, b = ends[k] - n[k], ends[k]
                     count = often[a:b]
                     keep = n[k] - -(-PERCENT * n[k] // 100) + 1 if n[k] else 0
-                    order = np.lexsort((own, count))[:keep] if count.any() else slice(0, keep)
-                    prefixes.append(own[order])
-                    hists.append(np.bincount((own >> np.uint64(58)).astype(np.int64), minlength=BINS).astype(np.int32).tobytes())
+                    prefixes.append(own[np.lexsort((own, likely[a:b], count))[:keep]])
+                    hists.append(np.bincount((own >> np.uint64(58)).astype(np.int64), minlength=BINS).astype(np.uint16 if n[k] < 65_536 else np.int32).tobytes())
                 sizes = np.array([len(p) for p in prefixes])
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))).astype(np.int32)), pa.array(K.signed(np.concatenate(prefixes))))
                 sl = slice(w.first, w.first + w.n_docs)
@@ -209,10 +237,11 @@ def _suffix_filter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
     """Keep pairs whose histograms allow the overlap that a link needs."""
     for batch in batches:
         if batch.num_rows:
-            a, b = (np.stack([np.frombuffer(x.as_py(), dtype=np.int32) for x in batch.column(c)]) for c in ("hist_a", "hist_b"))
+            bins = lambda x: np.frombuffer(x, dtype=np.uint16 if len(x) == 2 * BINS else np.int32).astype(np.int64)
+            a, b = (np.stack([bins(x.as_buffer()) for x in batch.column(c)]) for c in ("hist_a", "hist_b"))
             most = np.minimum(a, b).sum(axis=1)
             keep = pa.array(most >= needed(a.sum(axis=1).astype(np.int64), b.sum(axis=1).astype(np.int64)))
-            yield batch.select(["a", "b"]).filter(keep)
+            yield batch.select([c for c in batch.schema.names if c not in ("hist_a", "hist_b")]).filter(keep)
 
 
 def _set_blobs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -240,8 +269,7 @@ class NgramJoin:
         self.rows = keyed(docs)
 
     def classes(self) -> None:
-        value, times = rarity_table(self.rows)
-        sets = self.scratch.save(self.rows.mapInArrow(_set_rows(value, times), _SETS), "sets")
+        sets = self.scratch.save(self.rows.mapInArrow(_set_rows(*rarity_tables(self.rows)), _SETS), "sets")
         one = sets.where("n > 0").groupBy("lo", "hi").agg(F.first("n").alias("n"), F.min("doc_id").alias("least_id"), F.min(F.struct("doc_id", "th")).alias("row"), F.first("hist").alias("hist"), F.first("prefix").alias("prefix"))
         self.prefixes = self.scratch.save(one.withColumn("cid", F.monotonically_increasing_id()), "prefixes")
         self.sets = self.scratch.save(sets.select("doc_id", "th", "n", "lo", "hi"), "members")
@@ -257,27 +285,42 @@ class NgramJoin:
         self.scratch.release()
 
     def star_pairs(self) -> DataFrame:
+        """(a, b, shared): distinct pairs of a class and a partner, with the number of lists that name them."""
         pair = lambda other: F.struct(F.least("cid", other).alias("a"), F.greatest("cid", other).alias("b"), F.col(other).isNotNull().alias("is"))
         near = self.kept.where("head is not null or prev is not null")
-        return near.select(F.inline(F.array(pair("head"), pair("prev")))).where("is").select("a", "b").distinct()
+        return near.select(F.inline(F.array(pair("head"), pair("prev")))).where("is").groupBy("a", "b").agg(F.count("*").alias("shared"))
 
-    def verified(self, pairs: DataFrame, name: str) -> DataFrame:
-        """Of distinct candidate pairs, those that link."""
+    def likely(self, pairs: DataFrame, name: str) -> DataFrame:
+        """Of distinct candidate pairs, those that pass the suffix filter; fetches the sets of their ends."""
         shape = self.by_class.select("cid", "hist")
         sketched = pairs.join(shape.toDF("a", "hist_a"), "a").join(shape.toDF("b", "hist_b"), "b")
-        likely = self.scratch.save(sketched.mapInArrow(_suffix_filter, "a long, b long"), f"{name}-likely")
-        wanted = likely.select(F.explode(F.array("a", "b")).alias("cid")).distinct()
+        found = self.scratch.save(sketched.mapInArrow(_suffix_filter, pairs.schema), f"{name}-likely")
+        wanted = found.select(F.explode(F.array("a", "b")).alias("cid")).distinct()
         keys = self.scratch.save(self.by_class.select("cid", "row.*").join(wanted, "cid"), f"{name}-keys")
         keys = bounded_broadcast(keys, keys.count())
         texts = self.rows.join(keys, same_row(self.rows, keys)).select("cid", "text").dropDuplicates(["cid"])
-        blobs = self.scratch.save(texts.mapInArrow(_set_blobs, "cid long, set binary"), f"{name}-blobs")
+        self.blobs = self.scratch.save(texts.mapInArrow(_set_blobs, "cid long, set binary"), f"{name}-blobs")
         self.scratch.release()
-        whole = likely.join(blobs.toDF("a", "set_a"), "a").join(blobs.toDF("b", "set_b"), "b")
-        links = self.scratch.save(whole.mapInArrow(_verify, "a long, b long"), f"{name}-links")
-        self.scratch.drop(f"{name}-blobs")
+        return found
+
+    def verified(self, pairs: DataFrame, name: str) -> DataFrame:
+        """Of likely pairs, those that link."""
+        pairs = self.scratch.save(pairs.select("a", "b"), f"{name}-pairs")
+        first = self.blobs.toDF("a", "set_a").join(bounded_broadcast(pairs, pairs.count()), "a")
+        links = self.scratch.save(first.join(self.blobs.toDF("b", "set_b"), "b").mapInArrow(_verify, "a long, b long"), f"{name}-links")
         self.scratch.release()
         return links
 
+    def labels(self, links: DataFrame) -> DataFrame:
+        return components(self.spark, links.toDF("src", "dst"), self.scratch)
+
+    def apart(self, pairs: DataFrame, labels: DataFrame) -> DataFrame:
+        """Pairs whose ends are in different components so far."""
+        n = labels.count()
+        end = lambda c: bounded_broadcast(labels.toDF(c, f"c_{c}"), n)
+        known = pairs.join(end("a"), "a", "left").join(end("b"), "b", "left")
+        return known.where(F.coalesce("c_a", "a") != F.coalesce("c_b", "b")).select("a", "b")
+
     def across(self, labels: DataFrame, tried: DataFrame) -> DataFrame:
         """Pairs of classes of different components that share a prefix shingle and pass the filters."""
         own = self.kept.join(labels.withColumnRenamed("id", "cid"), "cid", "left").select("shingle", "cid", "n", "pos", F.coalesce("component", "cid").alias("c"))
@@ -290,19 +333,26 @@ class NgramJoin:
         sized = F.least(n, m) * 100 >= F.greatest(n, m) * PERCENT
         placed = F.least(n - F.col("a.pos"), m - F.col("b.pos")) * (100 + PERCENT) >= (n + m) * PERCENT
         pairs = a.join(b, (F.col("a.shingle") == F.col("b.shingle")) & apart & sized & placed).select(F.col("a.cid").alias("a"), F.col("b.cid").alias("b")).distinct()
-        return self.scratch.save(pairs.join(tried, ["a", "b"], "left_anti"), "across")
+        return self.scratch.save(pairs.join(tried.select("a", "b"), ["a", "b"], "left_anti"), "across")
 
     def run(self) -> DataFrame:
         """(doc_id, th, n_shingles, group, component_id) for each row; group numbers components, null for empty sets."""
         self.classes()
         self.postings()
-        stars = self.scratch.save(self.star_pairs(), "stars")
-        links = self.verified(stars, "star")
-        labels = components(self.spark, links.toDF("src", "dst"), self.scratch)
+        stars = self.likely(self.star_pairs(), "star")
+        best = stars.select(F.inline(F.array(F.struct(F.col("a").alias("cid"), "a", "b", "shared"), F.struct(F.col("b").alias("cid"), "a", "b", "shared"))))
+        best = best.groupBy("cid").agg(F.max(F.struct("shared", (-F.col("a")).alias("x"), "a", "b")).alias("best")).select("best.a", "best.b").distinct()
+        best = self.scratch.save(best, "best")
+        links = self.verified(best, "best")
+        labels = self.labels(links)
+        others = self.verified(self.apart(stars.join(best, ["a", "b"], "left_anti"), labels), "others")
+        links = self.scratch.save(links.unionByName(others), "star-links")
+        labels = self.labels(links)
         rest = self.across(labels, stars)
         if not rest.isEmpty():
-            more = self.verified(rest, "rest")
-            labels = components(self.spark, links.unionByName(more).toDF("src", "dst"), self.scratch)
+            more = self.verified(self.likely(rest, "rest"), "rest")
+            if not more.isEmpty():
+                labels = self.labels(self.scratch.save(links.unionByName(more), "all-links"))
         of = self.scratch.save(labels.join(self.by_class.select(F.col("cid").alias("id"), "least_id"), "id"), "linked")
         least = self.scratch.save(of.groupBy("component").agg(F.min("least_id").alias("component_id")), "least")
         joined = self.scratch.save(of.join(bounded_broadcast(least, least.count()), "component").select(F.col("id").alias("cid"), "component", "component_id"), "joined")
