@@ -8,24 +8,31 @@ from pyspark.sql import functions as F
 from ripplegraph.plans.scratch import Scratch, bounded_broadcast
 
 
+#: A task of these rounds gets so many edges; small graphs do not pay for empty tasks.
+ROWS_PER_TASK = 100_000
+FEWEST_TASKS = 4
+
+
 def components(spark: SparkSession, edges: DataFrame, scratch: Scratch | None = None, max_rounds: int = 60) -> DataFrame:
     """(id, component) of every node of ``edges(src, dst)``: the smallest id it can reach.
 
-    Each round hangs every node below the smallest node next to it, first from the larger side, then from
+    ``edges`` should be a written table, as it is counted first. Each round hangs every node below the smallest node next to it, first from the larger side, then from
     the smaller. A round shuffles the edges only; minima are combined before the shuffle, and the joins
     read written tables on both sides, so a hub is split over tasks. Self-loops give one-node components.
     """
     scratch = scratch or Scratch(spark, "components")
-    known = scratch.save(edges.where("src is not null and dst is not null").select(F.greatest("src", "dst").alias("u"), F.least("src", "dst").alias("v")).distinct())
+    parts = -(-edges.count() // ROWS_PER_TASK)
+    save = lambda df: scratch.save(df.coalesce(max(FEWEST_TASKS, parts)))
+    known = save(edges.where("src is not null and dst is not null").select(F.greatest("src", "dst").alias("u"), F.least("src", "dst").alias("v")).distinct())
     cur = known.where("u <> v")
     state = None
     for _ in range(max_rounds):
         both = cur.unionByName(cur.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = scratch.save(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")))
-        large = scratch.save(both.join(bounded_broadcast(low, low.count()), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
-        low = scratch.save(large.groupBy("u").agg(F.min("v").alias("m")))
+        low = save(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")))
+        large = save(both.join(bounded_broadcast(low, low.count()), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
+        low = save(large.groupBy("u").agg(F.min("v").alias("m")))
         joined = large.join(bounded_broadcast(low, low.count()), "u")
-        cur = scratch.save(joined.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v"))).distinct())
+        cur = save(joined.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v"))).distinct())
         now = cur.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v"))).first()
         if now == state:
             break
@@ -33,4 +40,4 @@ def components(spark: SparkSession, edges: DataFrame, scratch: Scratch | None =
     leaves = cur.select(F.col("u").alias("id"), F.col("v").alias("component"))
     roots = cur.select(F.col("v").alias("id"), F.col("v").alias("component")).distinct()
     loops = known.where("u = v").select(F.col("u").alias("id")).join(leaves.unionByName(roots).select("id"), "id", "left_anti").distinct()
-    return scratch.save(leaves.unionByName(roots).unionByName(loops.select("id", F.col("id").alias("component"))))
+    return save(leaves.unionByName(roots).unionByName(loops.select("id", F.col("id").alias("component"))))
