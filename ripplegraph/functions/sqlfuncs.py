@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import ArrayType, DoubleType
 
 _SQL = {
     "wave_lambda(omega DOUBLE, c2 DOUBLE) RETURNS DOUBLE": "2 * (1 - cos(omega)) / c2",
@@ -52,7 +53,7 @@ class SpectrumRows:
                 yield b, 2 * np.pi * b / len(x), float(c.real), float(c.imag), float(abs(c) ** 2)
 
 
-@pandas_udf("array<double>")
+@pandas_udf(ArrayType(DoubleType()))
 def fft_power(series: pd.Series) -> pd.Series:
     """Power at each bin of each series."""
     return series.map(lambda x: (np.abs(np.fft.rfft(np.asarray(x, dtype=float))) ** 2).tolist() if x is not None else None)

@@ -12,11 +12,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ripplegraph.functions.bounds import DEFAULT_C2, lambda_of
-
-
-def window_column(kind: str, t: Column, steps: int) -> Column:
-    x = (t - 0.5) * (2 * math.pi / steps)
-    return {"rect": F.lit(1.0), "hann": 0.5 - 0.5 * F.cos(x), "hamming": 0.54 - 0.46 * F.cos(x), "blackman": 0.42 - 0.5 * F.cos(x) + 0.08 * F.cos(2 * x)}[kind]
+from ripplegraph.operators.wave import window_column
 
 
 def detrended(history: DataFrame, how: str = "none") -> DataFrame:

@@ -86,14 +86,21 @@ def run(spark: SparkSession, edges: DataFrame, state: DataFrame, steps: int, c2:
         state = state.withColumns({f"series{r}": F.array().cast("array<double>") for r in range(n)})
     for j in range(len(filters or [])):
         state = state.withColumns({f"{part}{j}_{r}": F.lit(0.0) for part in ("re", "im") for r in range(n)})
+    if filters:
+        state = state.withColumn("t", F.lit(0))  # a column, so that every block of steps has the same code
     for t in range(1, steps + 1):
         state = step(rows, state, 2 - c2, 1.0, c2)
         new: dict[str, Column] = {f"series{r}": F.concat(f"series{r}", F.array(f"u{r}")) for r in range(n)} if history else {}
-        for j, omega in enumerate(filters or []):
-            h = window_value(window, t, span)
-            for r in range(n):
-                new[f"re{j}_{r}"] = F.col(f"re{j}_{r}") + F.col(f"u{r}") * F.lit(h * math.cos(omega * t))
-                new[f"im{j}_{r}"] = F.col(f"im{j}_{r}") - F.col(f"u{r}") * F.lit(h * math.sin(omega * t))
+        if filters:
+            state = state.withColumn("t", F.col("t") + 1)
+            h = window_column(window, F.col("t"), span)
+            for j, omega in enumerate(filters):
+                wave = F.struct((h * F.cos(F.col("t") * omega)).alias("c"), (h * F.sin(F.col("t") * omega)).alias("s"))
+                state = state.withColumn("wave", wave)
+                new = {f"re{j}_{r}": F.col(f"re{j}_{r}") + F.col(f"u{r}") * F.col("wave.c") for r in range(n)}
+                new |= {f"im{j}_{r}": F.col(f"im{j}_{r}") - F.col(f"u{r}") * F.col("wave.s") for r in range(n)}
+                state = state.withColumns(new).drop("wave")
+            new = {f"series{r}": F.concat(f"series{r}", F.array(f"u{r}")) for r in range(n)} if history else {}
         state = state.withColumns(new) if new else state
         if t % unroll == 0 and t < steps:
             state = scratch.save(state)
@@ -105,6 +112,11 @@ def window_value(kind: str, t: int, steps: int) -> float:
     return {"rect": 1.0, "hann": 0.5 - 0.5 * math.cos(x), "hamming": 0.54 - 0.46 * math.cos(x), "blackman": 0.42 - 0.5 * math.cos(x) + 0.08 * math.cos(2 * x)}[kind]
 
 
+def window_column(kind: str, t: Column, steps: int) -> Column:
+    x = (t - 0.5) * (2 * math.pi / steps)
+    return {"rect": F.lit(1.0), "hann": 0.5 - 0.5 * F.cos(x), "hamming": 0.54 - 0.46 * F.cos(x), "blackman": 0.42 - 0.5 * F.cos(x) + 0.08 * F.cos(2 * x)}[kind]
+
+
 def long_history(state: DataFrame) -> DataFrame:
     """(id, t, u) of the first start of a run with history."""
     return state.select("id", F.posexplode("series0").alias("t", "u")).withColumn("t", F.col("t") + 1)

@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 
 C2 = 1.99
-_PI = repr(math.pi)
+_PI = f"{math.pi!r}::DOUBLE"
 
 _PAIRS = "SELECT c_nationkey AS x, s_nationkey AS y, count(*) AS w FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey GROUP BY ALL"
 
@@ -74,11 +74,11 @@ def last(edges: str, steps: int, digits: int = 6, **options) -> str:
 
 
 def hann(steps: int) -> str:
-    return f"(0.5 - 0.5 * cos({2 * math.pi / steps!r} * (t - 0.5)))"
+    return f"(0.5 - 0.5 * cos({2 * math.pi / steps!r}::DOUBLE * (t - 0.5)))"
 
 
 def fourier(edges: str, steps: int, bins: str, window: str = "1.0") -> str:
-    angle = f"({2 * math.pi / steps!r} * b * t)"
+    angle = f"({2 * math.pi / steps!r}::DOUBLE * b * t)"
     return f"{wave(edges, steps)}, f AS (SELECT id, b::INT AS bin, sum({window} * u * cos({angle})) AS re, sum(-({window}) * u * sin({angle})) AS im FROM s, (SELECT unnest([{bins}]) AS b) WHERE t > 0 GROUP BY ALL)"
 
 
@@ -107,7 +107,7 @@ _AGENTS = "SELECT s_suppkey AS id, ((s_suppkey * 7919) % 1009)::DOUBLE / 1009 AS
 _BASIS = "SELECT i::INT AS k1, j::INT AS k2, (CASE WHEN i = 0 THEN 1.0 ELSE 0.5 END * CASE WHEN j = 0 THEN 1.0 ELSE 0.5 END)::DOUBLE AS norm, pow(1.0 + i * i + j * j, -1.5) AS lam FROM range({n}) a(i), range({n}) b(j)"
 _B3 = _BASIS.format(n=4)
 _VALUE = f"cos(k1 * {_PI} * x) * cos(k2 * {_PI} * y)"
-_MU = f"SELECT k1, k2, norm, lam, sum(mass * {_VALUE}) / sum(mass) / norm AS mu FROM (SELECT ((o_custkey * 31) % 997)::DOUBLE / 997 AS x, ((o_custkey * 17) % 991)::DOUBLE / 991 AS y, o_totalprice AS mass FROM orders), ({_B3}) GROUP BY ALL"
+_MU = f"SELECT k1, k2, norm, lam, sum(mass * {_VALUE}) / sum(mass) / norm AS mu FROM (SELECT ((o_custkey * 31) % 997)::DOUBLE / 997 AS x, ((o_custkey * 17) % 991)::DOUBLE / 991 AS y, o_totalprice AS mass FROM orders), ({_B3}) GROUP BY k1, k2, norm, lam"
 _SUMS = f"SELECT k1, k2, round(sum({_VALUE} / norm), 5) + 0.0 AS total FROM ({_AGENTS}), ({_B3}) GROUP BY ALL"
 _CONTAMINANT = f"""WITH RECURSIVE air AS MATERIALIZED (SELECT src, dst, w AS f FROM ({BUILDING}) UNION ALL VALUES (-1, 127, 2.0), (0, -1, 0.5), (7, -1, 0.5), (56, -1, 0.5), (63, -1, 0.5)),
   m AS MATERIALIZED (SELECT src AS id, src AS too, -sum(f) AS f, true AS own FROM air WHERE src >= 0 GROUP BY src UNION ALL SELECT src, dst, f, false FROM air WHERE src >= 0 AND dst >= 0),
@@ -142,9 +142,10 @@ ORACLES: dict[str, str] = {
     "rate_compare": f"SELECT tau, n, round(w, 6) AS wave_steps, round(w + n, 6) AS wave_with_gather, round(tau * log2(n) ** 2, 6) AS walk_rounds, round(sqrt(tau) / sqrt({C2}), 6) AS wave_large_tau FROM (SELECT (10.0 * 2 ** k)::DOUBLE AS tau, n::BIGINT AS n, 6.5 / acos((2 + {C2} * (exp(-1 / (10.0 * 2 ** k)) - 1)) / 2) AS w FROM range(12) a(k), (SELECT unnest([100, 1000, 10000, 1000000]) AS n))",
     "mixing_kinds": "SELECT round(lam, 6) AS lam, round(-1 / ln(abs(1 - lam)), 6) AS second, round(-1 / ln(1 - lam / 2), 6) AS lazy, round(-1 / ln(greatest(abs(1 - lam), 0.9)), 6) AS slem FROM (SELECT i / 20.0::DOUBLE AS lam FROM range(1, 20) t(i))",
     "horizon_rules": f"SELECT round(lam, 6) AS lam, round({2 * math.pi * 6.5!r} / w, 6) AS cycles, round(6.5 / w, 6) AS printed, round({2 * math.pi * 6.5!r} / w + 1000, 6) AS gathered, round(1 / abs(w - acos((2 - {C2} * (lam + 0.05)) / 2)), 6) AS resolution FROM (SELECT lam, {_W2} AS w FROM (SELECT i / 20.0::DOUBLE AS lam FROM range(1, 20) t(i)))",
-    **dict.fromkeys(["cluster_region", "cluster_region_distributed", "spectral_exact_region"], "SELECT n_nationkey::BIGINT AS n_nationkey, min(n_nationkey) OVER (PARTITION BY n_regionkey)::BIGINT AS group_rep FROM nation"),
+    **dict.fromkeys(["cluster_region", "spectral_exact_region"], "SELECT n_nationkey::BIGINT AS n_nationkey, min(n_nationkey) OVER (PARTITION BY n_regionkey)::BIGINT AS group_rep FROM nation"),
     "eigenvalues_region": "SELECT unnest([1, 2, 3, 4])::INT AS j, true AS within_a_bin",
     "orthogonal_region": "SELECT unnest([1, 2, 3, 4])::INT AS j, true AS close",
+    "line20_cut_distributed": "SELECT i AS id, CASE WHEN i <= 10 THEN 1 ELSE 11 END::BIGINT AS group_rep FROM range(1, 21) t(i)",
     "line200_cut": "SELECT i AS id, CASE WHEN i <= 100 THEN 1 ELSE 101 END::BIGINT AS group_rep FROM range(1, 201) t(i)",
     "planted_cut": "SELECT i AS id, CASE WHEN i < 680 THEN 0 ELSE 680 END::BIGINT AS group_rep FROM range(1000) t(i)",
     "building_clusters": "SELECT i AS id, (64 + CASE WHEN i % 8 < 4 THEN 0 ELSE 4 END + CASE WHEN i % 64 < 32 THEN 0 ELSE 32 END)::BIGINT AS group_rep FROM range(64, 128) t(i)",

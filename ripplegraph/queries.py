@@ -231,9 +231,10 @@ def cluster_region(spark, sf):
     return _reps(cluster.wave_cluster(spark, builders.region_chain(spark, sf), k=4, steps=200, connected=True), "n_nationkey")
 
 
-def cluster_region_distributed(spark, sf):
-    """The same by distributed steps: probes first, then matched sums kept with each node."""
-    return _reps(cluster.wave_cluster(spark, builders.region_chain(spark, sf), k=4, steps=200, connected=True, max_nodes=1, preset=cluster.Preset(seeds=4)), "n_nationkey")
+def line20_cut_distributed(spark, sf):
+    """A weak link found by distributed steps: probes first, then matched sums kept with each node."""
+    edges = builders.line(spark, 20, 10, 0.1)
+    return _reps(cluster.wave_cluster(spark, edges, k=1, steps=96, connected=True, max_nodes=1, preset=cluster.Preset(seeds=2)))
 
 
 def eigenvalues_region(spark, sf):
@@ -428,13 +429,16 @@ def contaminant_100(spark, sf):
     return rounded(estimation.contaminant_run(spark, air, estimation.rooms(spark), 100).select("id", "c"), 9)
 
 
+ROOM = 64 + 49
+
+
 def kalman_room49(spark, sf):
-    """Two clusters against five at ten rounds, and two at five hundred: error of room 49 and of its cluster."""
+    """Two clusters against five at ten rounds, and two at five hundred: error of the upper floor's room 49 and of its cluster."""
     edges = builders.building(spark)
     air = estimation.flows(edges)
     out = None
     for name, labels, rounds in (("floors_10", estimation.floor_partition, 10), ("five_10", _five, 10), ("floors_500", estimation.floor_partition, 500)):
-        one = estimation.report(estimation.experiment(edges, air, labels(spark.range(128)), estimation.Filter(rounds=rounds)), 49).withColumn("strategy", F.lit(name))
+        one = estimation.report(estimation.experiment(edges, air, labels(spark.range(128)), estimation.Filter(rounds=rounds)), ROOM).withColumn("strategy", F.lit(name))
         out = one if out is None else out.unionByName(one)
     return rounded(out)
 
@@ -518,7 +522,7 @@ QUERIES: dict[str, Query] = {
         trade_graph, region_chain_graph, region_trade_graph, copurchase_graph, part_supp_graph, cust_part_graph, user_line_graph, day_ring_graph, conv_chain_graph, doc_words_graph,
         event_flow, page_links, building_graph, emb_knn_degrees, degree_table, walk_table, walk_table_sym, components_conv_chain, growth_bad_start, dft_bins_trade, dft_arrays_trade,
         windowed_dft, power_spectrum_region, matched_filter_trade, matched_sine_trade, online_sums_trade, companion_modulus, stability_sweep, ring_bounds, rate_compare, mixing_kinds,
-        horizon_rules, cluster_region, cluster_region_distributed, eigenvalues_region, line200_cut, karate_cut, planted_cut, building_clusters, region_recursive, conv_chain_clusters,
+        horizon_rules, cluster_region, line20_cut_distributed, eigenvalues_region, line200_cut, karate_cut, planted_cut, building_clusters, region_recursive, conv_chain_clusters,
         user_line_cut, doc_words_lang, heat_20, lazy_power_30, truncated_walk_sweep, spectral_exact_region, orthogonal_region, minimum_cut_line, best_ratio_cut_line, cut_weight_region,
         ratio_cut_region, ncut_region, contingency, partition_scores, agreement, messages, cluster_means, fused_mean, contaminant_100, kalman_room49, basis_table, prior_mu,
         search_sum_central, search_sum_clustered, search_gradient, search_modes_agree, weekly_event_flow, event_sessions, monthly_trade_drift,

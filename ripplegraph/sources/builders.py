@@ -121,7 +121,7 @@ def user_line(spark: SparkSession, sf_dir: str, weak: float = 0.001, gap_days: i
     """Consecutive events of a user; a link over a gap is weak."""
     order = Window.partitionBy("user_id").orderBy("ts", "event_id")
     own = table(spark, sf_dir, "events").where("user_id is not null").select("event_id", "ts", F.lag("event_id").over(order).alias("last"), F.lag("ts").over(order).alias("since"))
-    weight = F.when(F.unix_micros("ts") - F.unix_micros("since") > gap_days * 86_400_000_000, weak).otherwise(1.0)
+    weight = F.when(F.col("ts") > F.col("since") + F.expr(f"interval {gap_days} days"), weak).otherwise(1.0)
     return symmetrize(own.where("last is not null").select(F.col("last").alias("src"), F.col("event_id").alias("dst"), weight.alias("w")))
 
 
@@ -176,7 +176,9 @@ def emb_knn(spark: SparkSession, sf_dir: str, k: int = 10, block: int = 256) ->
     n = vecs.count()
     parts = max(1, -(-n // block))
     numbered = vecs.withColumn("part", F.pmod(F.xxhash64("vec_id"), F.lit(parts)).cast("int"))
-    left = numbered.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))))
+    blocks = F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))
+    left = numbered.withColumn("other", blocks).select(F.col("part").alias("p"), F.col("other").alias("q"), "vec_id", "embedding")
+    right = numbered.withColumn("other", blocks).select(F.col("other").alias("p"), F.col("part").alias("q"), F.col("vec_id").alias("vec_id"), F.col("embedding").alias("embedding"))
 
     def near(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         if a.empty or b.empty:
@@ -189,7 +191,7 @@ def emb_knn(spark: SparkSession, sf_dir: str, k: int = 10, block: int = 256) ->
         rows = np.repeat(np.arange(len(x)), top.shape[1])
         return pd.DataFrame({"src": a["vec_id"].to_numpy()[rows], "dst": b["vec_id"].to_numpy()[top.ravel()], "w": cos[rows, top.ravel()]})
 
-    pairs = left.groupBy("part", "other").cogroup(numbered.crossJoin(F.broadcast(spark.range(parts).select(F.col("id").cast("int").alias("p")))).groupBy("p", "part")).applyInPandas(near, "src long, dst long, w double")
+    pairs = left.groupBy("p", "q").cogroup(right.groupBy("p", "q")).applyInPandas(near, "src long, dst long, w double")
     order = Window.partitionBy("src").orderBy(F.desc("w"), "dst")
     best = pairs.where("w > -2").withColumn("place", F.row_number().over(order)).where(F.col("place") <= k)
     return symmetrize(best.select("src", "dst", F.greatest("w", F.lit(1e-9)).alias("w")), how="max")
