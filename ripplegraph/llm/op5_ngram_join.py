@@ -12,8 +12,8 @@ whole). Documents link when 100 * intersection >= 75 * union.
    shingles; shingles of one class only are dropped there.
 4. Candidates by stars. In each posting list, each class is paired with the list's most central one (that
    has the shingle at the earliest position of its prefix) and with its neighbour: pairs in proportion to
-   the list. The length and positional filters are applied at once; the suffix filter bounds the overlap
-   by histograms of the hash space; survivors are verified on whole sets.
+   the list. The length and positional filters are applied at once; the suffix filter bounds the difference
+   of whole sets from below by their parity bitmaps; survivors are verified on whole sets.
    First each class is tried with the partner that it shares most with, then the other pairs across the
    components that this leaves.
 5. The rest. In lists that still hold several components, all pairs across components become candidates in
@@ -30,7 +30,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ripplegraph.llm import kernel as K
@@ -40,10 +40,11 @@ from ripplegraph.operators.components import components
 SHINGLE = 5
 PERCENT = 75
 RARITY_ROWS = 65_536
-BINS = 64
+#: Bits of a set's parity bitmap.
+BITS = 1024
 _BLOCK = 2_000_000
 
-_SETS = "doc_id long, th long, n long, lo long, hi long, hist binary, prefix array<long>"
+_SETS = "doc_id long, th long, n long, lo long, hi long, bits array<long>, prefix array<long>"
 _KEPT = "shingle long, cid long, n int, pos int, head long, prev long"
 
 
@@ -144,18 +145,21 @@ def _set_rows(shingles: Table, words: Table):
                 mixed = [K.mix(flat ^ np.uint64(0x5851F42D4C957F2D)), K.mix(flat + np.uint64(0x14057B7EF767814F))]
                 sums = [np.concatenate((np.zeros(1, np.uint64), np.cumsum(x, dtype=np.uint64))) for x in mixed]
                 lo, hi = (K.mix(s[ends] - s[ends - n] + n.astype(np.uint64)) for s in sums)
-                prefixes, hists = [], []
+                prefixes, bitmaps = [], []
                 for k, own in enumerate(sets):
                     a, b = ends[k] - n[k], ends[k]
                     count = often[a:b]
                     keep = n[k] - -(-PERCENT * n[k] // 100) + 1 if n[k] else 0
                     prefixes.append(own[np.lexsort((own, likely[a:b], count))[:keep]])
-                    hists.append(np.bincount((own >> np.uint64(58)).astype(np.int64), minlength=BINS).astype(np.uint16 if n[k] < 65_536 else np.int32).tobytes())
+                    odd = np.bincount((own >> np.uint64(54)).astype(np.int64), minlength=BITS) & 1
+                    bitmaps.append(np.packbits(odd.astype(np.uint8)).view(np.int64))
                 sizes = np.array([len(p) for p in prefixes])
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))).astype(np.int32)), pa.array(K.signed(np.concatenate(prefixes))))
+                words_each = BITS // 64
+                bits = pa.ListArray.from_arrays(pa.array(np.arange(0, words_each * (len(n) + 1), words_each, dtype=np.int32)), pa.array(np.concatenate(bitmaps)))
                 sl = slice(w.first, w.first + w.n_docs)
                 ids, th = batch.column("doc_id")[sl], batch.column("th")[sl]
-                yield pa.RecordBatch.from_arrays([ids, th, pa.array(n.astype(np.int64)), pa.array(K.signed(lo)), pa.array(K.signed(hi)), pa.array(hists, pa.binary()), lists], ["doc_id", "th", "n", "lo", "hi", "hist", "prefix"])
+                yield pa.RecordBatch.from_arrays([ids, th, pa.array(n.astype(np.int64)), pa.array(K.signed(lo)), pa.array(K.signed(hi)), bits, lists], ["doc_id", "th", "n", "lo", "hi", "bits", "prefix"])
 
     return rows
 
@@ -233,15 +237,14 @@ def _stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield out
 
 
-def _suffix_filter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Keep pairs whose histograms allow the overlap that a link needs."""
-    for batch in batches:
-        if batch.num_rows:
-            bins = lambda x: np.frombuffer(x, dtype=np.uint16 if len(x) == 2 * BINS else np.int32).astype(np.int64)
-            a, b = (np.stack([bins(x.as_buffer()) for x in batch.column(c)]) for c in ("hist_a", "hist_b"))
-            most = np.minimum(a, b).sum(axis=1)
-            keep = pa.array(most >= needed(a.sum(axis=1).astype(np.int64), b.sum(axis=1).astype(np.int64)))
-            yield batch.select([c for c in batch.schema.names if c not in ("hist_a", "hist_b")]).filter(keep)
+def near_enough(a: str, b: str, n: Column, m: Column) -> Column:
+    """Whether two parity bitmaps differ in no more bits than sets that link can differ in elements.
+
+    An element of one set alone turns one bit of the difference, so the bits that differ are a lower bound
+    of the elements that do; links allow n + m - 2 * needed(n, m) of them.
+    """
+    differ = sum((F.bit_count(F.get(a, F.lit(i)).bitwiseXOR(F.get(b, F.lit(i)))) for i in range(BITS // 64)), F.lit(0))
+    return differ <= n + m - 2 * F.floor(((n + m) * PERCENT + (99 + PERCENT)) / (100 + PERCENT))
 
 
 def _set_blobs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -270,7 +273,7 @@ class NgramJoin:
 
     def classes(self) -> None:
         sets = self.scratch.save(self.rows.mapInArrow(_set_rows(*rarity_tables(self.rows)), _SETS), "sets")
-        one = sets.where("n > 0").groupBy("lo", "hi").agg(F.first("n").alias("n"), F.min("doc_id").alias("least_id"), F.min(F.struct("doc_id", "th")).alias("row"), F.first("hist").alias("hist"), F.first("prefix").alias("prefix"))
+        one = sets.where("n > 0").groupBy("lo", "hi").agg(F.first("n").alias("n"), F.min("doc_id").alias("least_id"), F.min(F.struct("doc_id", "th")).alias("row"), F.first("bits").alias("bits"), F.first("prefix").alias("prefix"))
         self.prefixes = self.scratch.save(one.withColumn("cid", F.monotonically_increasing_id()), "prefixes")
         self.sets = self.scratch.save(sets.select("doc_id", "th", "n", "lo", "hi"), "members")
         self.scratch.drop("sets")
@@ -292,9 +295,9 @@ class NgramJoin:
 
     def likely(self, pairs: DataFrame, name: str) -> DataFrame:
         """Of distinct candidate pairs, those that pass the suffix filter; fetches the sets of their ends."""
-        shape = self.by_class.select("cid", "hist")
-        sketched = pairs.join(shape.toDF("a", "hist_a"), "a").join(shape.toDF("b", "hist_b"), "b")
-        found = self.scratch.save(sketched.mapInArrow(_suffix_filter, pairs.schema), f"{name}-likely")
+        shape = self.by_class.select("cid", "n", "bits")
+        sketched = pairs.join(shape.toDF("a", "n_a", "bits_a"), "a").join(shape.toDF("b", "n_b", "bits_b"), "b")
+        found = self.scratch.save(sketched.where(near_enough("bits_a", "bits_b", F.col("n_a"), F.col("n_b"))).select(*pairs.columns), f"{name}-likely")
         wanted = found.select(F.explode(F.array("a", "b")).alias("cid")).distinct()
         keys = self.scratch.save(self.by_class.select("cid", "row.*").join(wanted, "cid"), f"{name}-keys")
         keys = bounded_broadcast(keys, keys.count())
@@ -326,13 +329,14 @@ class NgramJoin:
         own = self.kept.join(labels.withColumnRenamed("id", "cid"), "cid", "left").select("shingle", "cid", "n", "pos", F.coalesce("component", "cid").alias("c"))
         own = self.scratch.save(own, "labelled")
         mixed = self.scratch.save(own.groupBy("shingle").agg(F.min("c").alias("x"), F.max("c").alias("y")).where("x < y").select("shingle"), "mixed")
-        own = self.scratch.save(own.join(mixed, "shingle"), "open")
+        own = own.join(mixed, "shingle").join(self.by_class.select("cid", "bits"), "cid")
+        own = self.scratch.save(own, "open")
         a, b = own.alias("a"), own.alias("b")
         apart = (F.col("a.cid") < F.col("b.cid")) & (F.col("a.c") != F.col("b.c"))
         n, m = F.col("a.n").cast("long"), F.col("b.n").cast("long")
         sized = F.least(n, m) * 100 >= F.greatest(n, m) * PERCENT
         placed = F.least(n - F.col("a.pos"), m - F.col("b.pos")) * (100 + PERCENT) >= (n + m) * PERCENT
-        pairs = a.join(b, (F.col("a.shingle") == F.col("b.shingle")) & apart & sized & placed).select(F.col("a.cid").alias("a"), F.col("b.cid").alias("b")).distinct()
+        pairs = a.join(b, (F.col("a.shingle") == F.col("b.shingle")) & apart & sized & placed & near_enough("a.bits", "b.bits", n, m)).select(F.col("a.cid").alias("a"), F.col("b.cid").alias("b")).distinct()
         return self.scratch.save(pairs.join(tried.select("a", "b"), ["a", "b"], "left_anti"), "across")
 
     def run(self) -> DataFrame:
