@@ -42,9 +42,11 @@ PERCENT = 75
 RARITY_ROWS = 65_536
 #: Bits of a set's parity bitmap.
 BITS = 1024
+#: Sets of so many shingles also get a wide bitmap, for pairs that pass the first.
+WIDE_FROM, WIDE_BITS = 1_000, 32_768
 _BLOCK = 2_000_000
 
-_SETS = "doc_id long, th long, n long, lo long, hi long, bits array<long>, prefix array<long>"
+_SETS = "doc_id long, th long, n long, lo long, hi long, bits array<long>, wide array<long>, prefix array<long>"
 _KEPT = "shingle long, cid long, n int, pos int, head long, prev long"
 
 
@@ -145,7 +147,7 @@ def _set_rows(shingles: Table, words: Table):
                 mixed = [K.mix(flat ^ np.uint64(0x5851F42D4C957F2D)), K.mix(flat + np.uint64(0x14057B7EF767814F))]
                 sums = [np.concatenate((np.zeros(1, np.uint64), np.cumsum(x, dtype=np.uint64))) for x in mixed]
                 lo, hi = (K.mix(s[ends] - s[ends - n] + n.astype(np.uint64)) for s in sums)
-                prefixes, bitmaps = [], []
+                prefixes, bitmaps, wide = [], [], []
                 for k, own in enumerate(sets):
                     a, b = ends[k] - n[k], ends[k]
                     count = often[a:b]
@@ -153,13 +155,15 @@ def _set_rows(shingles: Table, words: Table):
                     prefixes.append(own[np.lexsort((own, likely[a:b], count))[:keep]])
                     odd = np.bincount((own >> np.uint64(54)).astype(np.int64), minlength=BITS) & 1
                     bitmaps.append(np.packbits(odd.astype(np.uint8)).view(np.int64))
+                    fine = np.bincount((own >> np.uint64(49)).astype(np.int64), minlength=WIDE_BITS) & 1 if n[k] >= WIDE_FROM else None
+                    wide.append(None if fine is None else np.packbits(fine.astype(np.uint8)).view(np.int64))
                 sizes = np.array([len(p) for p in prefixes])
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))).astype(np.int32)), pa.array(K.signed(np.concatenate(prefixes))))
                 words_each = BITS // 64
                 bits = pa.ListArray.from_arrays(pa.array(np.arange(0, words_each * (len(n) + 1), words_each, dtype=np.int32)), pa.array(np.concatenate(bitmaps)))
                 sl = slice(w.first, w.first + w.n_docs)
                 ids, th = batch.column("doc_id")[sl], batch.column("th")[sl]
-                yield pa.RecordBatch.from_arrays([ids, th, pa.array(n.astype(np.int64)), pa.array(K.signed(lo)), pa.array(K.signed(hi)), bits, lists], ["doc_id", "th", "n", "lo", "hi", "bits", "prefix"])
+                yield pa.RecordBatch.from_arrays([ids, th, pa.array(n.astype(np.int64)), pa.array(K.signed(lo)), pa.array(K.signed(hi)), bits, pa.array(wide, pa.list_(pa.int64())), lists], ["doc_id", "th", "n", "lo", "hi", "bits", "wide", "prefix"])
 
     return rows
 
@@ -244,7 +248,11 @@ def near_enough(a: str, b: str, n: Column, m: Column) -> Column:
     of the elements that do; links allow n + m - 2 * needed(n, m) of them.
     """
     differ = sum((F.bit_count(F.get(a, F.lit(i)).bitwiseXOR(F.get(b, F.lit(i)))) for i in range(BITS // 64)), F.lit(0))
-    return differ <= n + m - 2 * F.floor(((n + m) * PERCENT + (99 + PERCENT)) / (100 + PERCENT))
+    return differ <= most_apart(n, m)
+
+
+def most_apart(n: Column, m: Column) -> Column:
+    return n + m - 2 * F.floor(((n + m) * PERCENT + (99 + PERCENT)) / (100 + PERCENT))
 
 
 def _set_blobs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -273,7 +281,7 @@ class NgramJoin:
 
     def classes(self) -> None:
         sets = self.scratch.save(self.rows.mapInArrow(_set_rows(*rarity_tables(self.rows)), _SETS), "sets")
-        one = sets.where("n > 0").groupBy("lo", "hi").agg(F.first("n").alias("n"), F.min("doc_id").alias("least_id"), F.min(F.struct("doc_id", "th")).alias("row"), F.first("bits").alias("bits"), F.first("prefix").alias("prefix"))
+        one = sets.where("n > 0").groupBy("lo", "hi").agg(F.first("n").alias("n"), F.min("doc_id").alias("least_id"), F.min(F.struct("doc_id", "th")).alias("row"), F.first("bits").alias("bits"), F.first("wide").alias("wide"), F.first("prefix").alias("prefix"))
         self.prefixes = self.scratch.save(one.withColumn("cid", F.monotonically_increasing_id()), "prefixes")
         self.sets = self.scratch.save(sets.select("doc_id", "th", "n", "lo", "hi"), "members")
         self.scratch.drop("sets")
@@ -295,9 +303,12 @@ class NgramJoin:
 
     def likely(self, pairs: DataFrame, name: str) -> DataFrame:
         """Of distinct candidate pairs, those that pass the suffix filter; fetches the sets of their ends."""
-        shape = self.by_class.select("cid", "n", "bits")
-        sketched = pairs.join(shape.toDF("a", "n_a", "bits_a"), "a").join(shape.toDF("b", "n_b", "bits_b"), "b")
-        found = self.scratch.save(sketched.where(near_enough("bits_a", "bits_b", F.col("n_a"), F.col("n_b"))).select(*pairs.columns), f"{name}-likely")
+        shape = self.by_class.select("cid", "n", "bits", "wide")
+        sketched = pairs.join(shape.toDF("a", "n_a", "bits_a", "wide_a"), "a").join(shape.toDF("b", "n_b", "bits_b", "wide_b"), "b")
+        n, m = F.col("n_a"), F.col("n_b")
+        differ = F.aggregate(F.zip_with("wide_a", "wide_b", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
+        close = F.coalesce(differ <= most_apart(n, m), F.lit(True))  # null where a set has no wide bitmap
+        found = self.scratch.save(sketched.where(near_enough("bits_a", "bits_b", n, m) & close).select(*pairs.columns), f"{name}-likely")
         wanted = found.select(F.explode(F.array("a", "b")).alias("cid")).distinct()
         keys = self.scratch.save(self.by_class.select("cid", "row.*").join(wanted, "cid"), f"{name}-keys")
         keys = bounded_broadcast(keys, keys.count())
