@@ -38,6 +38,19 @@ def test_components_of_nothing(spark):
     assert components(spark, graph.empty_edges(spark).select("src", "dst")).count() == 0
 
 
+@pytest.mark.parametrize("bound", [50_000, 0])
+def test_components_of_random_graphs(spark, monkeypatch, bound):
+    """Minima broadcast, and beyond the bound written and joined."""
+    monkeypatch.setattr("ripplegraph.operators.components.BROADCAST_ROWS", bound)
+    pairs = np.random.default_rng(5).integers(0, 300, (220, 2)).tolist()
+    least = {x: x for pair in pairs for x in pair}
+    for _ in least:
+        for a, b in pairs:
+            least[a] = least[b] = min(least[a], least[b])
+    got = {r.id: r.component for r in components(spark, spark.createDataFrame(pairs, "src long, dst long")).collect()}
+    assert got == least
+
+
 def test_step_needs_one_exchange_for_messages(spark):
     edges = builders.ring(spark, 8)
     rows = wave.with_own_rows(graph.walk_weights(edges))
