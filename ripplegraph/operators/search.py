@@ -112,5 +112,7 @@ def coverage(stats: DataFrame) -> DataFrame:
 
 
 def trajectory_gap(a: DataFrame, b: DataFrame) -> DataFrame:
-    both = a.join(b.toDF("t", "id", "x2", "y2"), ["t", "id"])
-    return both.agg(F.max(F.sqrt((F.col("x") - F.col("x2")) ** 2 + (F.col("y") - F.col("y2")) ** 2)).alias("gap"))
+    """(gap): the largest distance of an agent's two places at a step; infinite where one of them is missing."""
+    both = a.join(b.toDF("t", "id", "x2", "y2"), ["t", "id"], "full")
+    apart = F.sqrt((F.col("x") - F.col("x2")) ** 2 + (F.col("y") - F.col("y2")) ** 2)
+    return both.agg(F.max(F.coalesce(apart, F.lit(float("inf")))).alias("gap"))

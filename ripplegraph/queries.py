@@ -475,19 +475,26 @@ def search_gradient(spark, sf):
     return rounded(search.gradient(_agents(spark, sf), stats), 5)
 
 
-def search_modes_agree(spark, sf):
-    """Trajectories of three steps, central and by wave clusters of nearby agents: the gap, and coverage."""
-    scratch = Scratch(spark, "search")
-    agents = scratch.save(_agents(spark, sf).where("id < 40"))
-    functions = scratch.save(search.prior(_belief(spark, sf), search.basis(spark, 3)))
+def search_agreement(spark: SparkSession, agents: DataFrame, belief: DataFrame, steps: int = 2, radius: float = 0.25, scratch: Scratch | None = None) -> DataFrame:
+    """(gap, coverage, of_clusters) of a search by all ``agents``, central and by wave clusters of nearby ones."""
+    scratch = scratch or Scratch(spark, "search")
+    agents = scratch.save(agents)
+    functions = scratch.save(search.prior(belief, search.basis(spark, 3)))
 
     def label(now: DataFrame) -> DataFrame:
-        found = cluster.wave_bisect(spark, search.proximity(now, 0.25), steps=64)
+        found = cluster.wave_bisect(spark, search.proximity(now, radius), steps=64)
         return now.select("id").join(found.select("id", "group_rep"), "id", "left").select("id", F.coalesce("group_rep", "id").alias("cluster"))
 
-    a, stats = search.run(spark, agents, functions, 2)
-    b, _ = search.run(spark, agents, functions, 2, mode="clustered", label=label)
-    return search.trajectory_gap(a, b).select((F.col("gap") < 1e-6).alias("equal")).crossJoin(search.coverage(stats).select((F.col("coverage") >= 0).alias("covered")))
+    a, own = search.run(spark, agents, functions, steps)
+    b, other = search.run(spark, agents, functions, steps, mode="clustered", label=label)
+    return search.trajectory_gap(a, b).crossJoin(search.coverage(own)).crossJoin(search.coverage(other).withColumnRenamed("coverage", "of_clusters"))
+
+
+def search_modes_agree(spark, sf):
+    """Whether all agents go the same ways in both modes, and whether the coverage is the same."""
+    found = search_agreement(spark, _agents(spark, sf), _belief(spark, sf))
+    same = F.abs(F.col("coverage") - F.col("of_clusters")) <= 1e-6 * F.greatest("coverage", F.lit(1.0))
+    return found.select((F.col("gap") < 1e-6).alias("equal"), same.alias("covered"))
 
 
 # --- changing graphs ------------------------------------------------------------------------------
