@@ -9,6 +9,8 @@ sums of those frequencies with each node.
 from __future__ import annotations
 
 import math
+import warnings
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
@@ -22,6 +24,8 @@ from ripplegraph.operators.components import components
 from ripplegraph.operators.graph import nodes_of
 from ripplegraph.plans.scratch import Scratch, bounded_broadcast
 
+#: Steps whose probes are fetched at once.
+SPAN = 256
 LABELS = "id long, bits array<int>, cluster long, group_rep long, margin double"
 
 
@@ -144,18 +148,46 @@ def local_modes(g: LocalGraph, k: int, c2: float, steps: int, preset: Preset, se
     return 2 * np.pi * found / steps, np.column_stack([combine(z[:, :, b], g.deg, preset.align) for b in found]) if len(found) else np.zeros((len(g.ids), 0))
 
 
+def settled(now: float | None, last: float | None, steps: int, preset: Preset, tol: float = 0.02) -> bool:
+    """Whether the lowest peak has not moved against half of the steps, and they hold cycles enough of it."""
+    return now is not None and last is not None and abs(now - last) <= max(tol * now, 2 * math.pi / steps) and now * steps >= 2 * math.pi * preset.eta
+
+
 def stable_steps(g: LocalGraph, c2: float, preset: Preset, t_max: int = 1 << 15, tol: float = 0.02) -> int:
-    """Smallest power of two of steps for which the lowest peak has not moved against half of it."""
+    """Smallest power of two of steps for which the lowest peak is settled; a warning if none below ``t_max`` is."""
     steps, last = 64, None
     while steps < t_max:
         omega, _ = local_modes(g, 1, c2, steps, preset)
         now = omega[0] if len(omega) else None
-        if now is not None and last is not None and abs(now - last) <= max(tol * now, 2 * math.pi / steps) and now * steps >= 2 * math.pi * preset.eta:
+        if settled(now, last, steps, preset, tol):
             return steps
         steps, last = steps * 2, now
+    if len(g.ids) > 1:
+        warnings.warn(f"the lowest peak of the component of node {g.ids[0]} ({len(g.ids)} nodes) is not settled before {t_max} steps", stacklevel=2)
     return steps
 
 
+def probe_power(series: np.ndarray, preset: Preset) -> np.ndarray:
+    """Power by bin of a history (probe, start, step)."""
+    h = window_values(preset.window, series.shape[2])
+    return sum((np.abs(np.fft.rfft((x - x.mean(axis=1, keepdims=True)) * h, axis=1)) ** 2).sum(axis=0) for x in series.transpose(1, 0, 2))
+
+
+def stable_series(go: Callable[[int], np.ndarray], preset: Preset, t_max: int = 1 << 17) -> np.ndarray:
+    """The history of the probes, doubled until their lowest peak is settled; ``go`` gives so many steps more."""
+    series, last = go(64), None
+    while True:
+        steps = series.shape[2]
+        power = probe_power(series, preset)
+        found = find_peaks(power, 1, preset.prominence)
+        now = 2 * math.pi * int(found[0]) / steps if len(found) else None
+        if settled(now, last, steps, preset) or not power.any():  # no power: a node of its own
+            return series
+        if steps >= t_max:
+            raise RuntimeError(f"the lowest peak is not settled after {steps} steps; give the steps")
+        series, last = np.concatenate((series, go(steps)), axis=2), now
+
+
 def local_labels(edges: pd.DataFrame, k: int, c2: float, steps: int | None, preset: Preset, seed: int = 0) -> pd.DataFrame:
     g = LocalGraph.of(edges["src"].to_numpy(), edges["dst"].to_numpy(), edges["w"].to_numpy())
     _, coef = local_modes(g, k, c2, steps or stable_steps(g, c2, preset), preset, seed)
@@ -170,7 +202,8 @@ def wave_cluster(spark: SparkSession, edges: DataFrame, k: int = 1, c2: float =
     """(id, bits, cluster, group_rep, margin): clusters of each component by the signs of its k lowest modes.
 
     ``cluster`` counts within a component; ``group_rep``, the smallest id of the cluster, is comparable
-    everywhere. ``steps`` None: local components run until their lowest peak is stable.
+    everywhere. ``steps`` None: each component runs until its lowest peak is stable, by all nodes in a batch and by
+    probes in distributed steps.
     """
     check_speed(c2)
     scratch = scratch or Scratch(spark, "cluster")
@@ -183,7 +216,7 @@ def wave_cluster(spark: SparkSession, edges: DataFrame, k: int = 1, c2: float =
     else:
         labels = components(spark, edges, scratch)
         labelled = scratch.save(edges.join(bounded_broadcast(labels.withColumnRenamed("id", "src"), labels.count()), "src").select("src", "dst", "w", "component"))
-        sizes = labelled.groupBy("component").agg(F.count("*").alias("rows"), F.approx_count_distinct("src").alias("nodes"))
+        sizes = labelled.groupBy("component").agg(F.count("*").alias("rows"), F.count_distinct("src").alias("nodes"))
         big = scratch.save(sizes.where((F.col("rows") > max_edges) | (F.col("nodes") > max_nodes)).select("component"))
         large = [r[0] for r in big.limit(1_000).collect()]  # components too large for a batch are few by their size
         local = labelled.join(F.broadcast(big), "component", "left_anti") if large else labelled
@@ -192,22 +225,30 @@ def wave_cluster(spark: SparkSession, edges: DataFrame, k: int = 1, c2: float =
         out = local.groupBy("component").applyInPandas(lambda part: local_labels(part, k, c2, steps, preset, seed), LABELS)
     for name in large or []:
         own = labelled.where(F.col("component") == name).select("src", "dst", "w")
-        one = distributed_labels(spark, scratch.save(own), k, c2, steps or 512, preset, seed, scratch)
+        one = distributed_labels(spark, scratch.save(own), k, c2, steps, preset, seed, scratch)
         out = one if out is None else out.unionByName(one)
     return out
 
 
-def distributed_labels(spark: SparkSession, edges: DataFrame, k: int, c2: float, steps: int, preset: Preset, seed: int, scratch: Scratch, n_probes: int = 64) -> DataFrame:
+def distributed_labels(spark: SparkSession, edges: DataFrame, k: int, c2: float, steps: int | None, preset: Preset, seed: int, scratch: Scratch, n_probes: int = 64) -> DataFrame:
     """Labels of one component by distributed steps; the driver sees probe series and k small matrices."""
     nodes = scratch.save(nodes_of(edges))
     state = scratch.save(wave.initial_state(nodes, preset.seeds, "degree" if preset.center else "none", seed=seed))
-    seen = wave.probe_series(spark, edges, state, steps, n_probes, c2, scratch).orderBy("id", "t").toPandas()  # n_probes * steps rows
-    h = window_values(preset.window, steps)
-    power = np.zeros(steps // 2 + 1)
-    for r in range(preset.seeds):
-        x = seen[f"u{r}"].to_numpy().reshape(-1, steps)
-        power += (np.abs(np.fft.rfft((x - x.mean(axis=1, keepdims=True)) * h, axis=1)) ** 2).sum(axis=0)
-    found = find_peaks(power, k, preset.prominence)
+    run = wave.Probes(spark, edges, state, n_probes, c2, scratch)
+
+    def go(more: int) -> np.ndarray:
+        """History (probe, start, step) of so many steps more: n_probes * more rows, fetched in spans."""
+        parts = []
+        while more:
+            span = min(more, SPAN)
+            seen = run.go(span).orderBy("id", "t").toPandas()
+            parts.append(np.stack([seen[f"u{r}"].to_numpy().reshape(-1, span) for r in range(preset.seeds)], axis=1))
+            more -= span
+        return np.concatenate(parts, axis=2)
+
+    series = stable_series(go, preset) if steps is None else go(steps)
+    steps = series.shape[2]
+    found = find_peaks(probe_power(series, preset), k, preset.prominence)
     omegas = [2 * math.pi * int(b) / steps for b in found]
     done = wave.run(spark, edges, state, steps, c2, scratch, filters=omegas, window=preset.window)
     columns, first = [], None

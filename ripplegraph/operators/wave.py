@@ -129,30 +129,42 @@ def probes(nodes: DataFrame, count: int) -> DataFrame:
 
 def probe_series(spark: SparkSession, edges: DataFrame, state: DataFrame, steps: int, count: int = 64, c2: float = DEFAULT_C2, scratch: Scratch | None = None, unroll: int = 8) -> DataFrame:
     """(id, t, u0..) of ``count`` probe nodes over a run; nothing else is kept of the steps."""
-    check_speed(c2)
     scratch = scratch or Scratch(spark, "probes")
-    rows = scratch.save(with_own_rows(walk_weights(edges)))
-    if rows.count() <= BROADCAST_ROWS:
-        rows = F.broadcast(rows)
-    n = _seeds(state)
-    chosen = F.broadcast(scratch.save(probes(state.select("id"), count)))
-    parts = []
-    t = 0
-    while t < steps:
-        block = min(unroll, steps - t)
-        seen: list[str] = []
-        for k in range(1, block + 1):
-            state = step(rows, state, 2 - c2, 1.0, c2)
-            if k < block:
-                state = state.withColumns({f"at{k}_{r}": F.col(f"u{r}") for r in range(n)})
-                seen += [f"at{k}_{r}" for r in range(n)]
-        state = scratch.save(state)
-        own = state.join(chosen, "id")
-        for k in range(1, block + 1):
-            parts.append(own.select("id", F.lit(t + k).alias("t"), *(F.col(f"at{k}_{r}" if k < block else f"u{r}").alias(f"u{r}") for r in range(n))))
-        state = state.drop(*seen)
-        t += block
-    out = parts[0]
-    for part in parts[1:]:
-        out = out.unionByName(part)
-    return scratch.save(out)
+    return scratch.save(Probes(spark, edges, state, count, c2, scratch, unroll).go(steps))
+
+
+class Probes:
+    """A run whose probes are read span by span, so that it can go on where it stopped."""
+
+    def __init__(self, spark: SparkSession, edges: DataFrame, state: DataFrame, count: int = 64, c2: float = DEFAULT_C2, scratch: Scratch | None = None, unroll: int = 8) -> None:
+        check_speed(c2)
+        self.scratch, self.state, self.c2, self.unroll, self.t = scratch or Scratch(spark, "probes"), state, c2, unroll, 0
+        rows = self.scratch.save(with_own_rows(walk_weights(edges)))
+        self.rows = F.broadcast(rows) if rows.count() <= BROADCAST_ROWS else rows
+        self.chosen = F.broadcast(self.scratch.save(probes(state.select("id"), count)))
+
+    def go(self, steps: int) -> DataFrame:
+        """(id, t, u0..) of the probes over the next ``steps`` steps."""
+        n = _seeds(self.state)
+        parts = []
+        done = 0
+        while done < steps:
+            block = min(self.unroll, steps - done)
+            seen: list[str] = []
+            state = self.state
+            for k in range(1, block + 1):
+                state = step(self.rows, state, 2 - self.c2, 1.0, self.c2)
+                if k < block:
+                    state = state.withColumns({f"at{k}_{r}": F.col(f"u{r}") for r in range(n)})
+                    seen += [f"at{k}_{r}" for r in range(n)]
+            state = self.scratch.save(state)
+            own = state.join(self.chosen, "id")
+            for k in range(1, block + 1):
+                parts.append(own.select("id", F.lit(self.t + k).alias("t"), *(F.col(f"at{k}_{r}" if k < block else f"u{r}").alias(f"u{r}") for r in range(n))))
+            self.state = state.drop(*seen)
+            self.t += block
+            done += block
+        out = parts[0]
+        for part in parts[1:]:
+            out = out.unionByName(part)
+        return out
