@@ -9,6 +9,7 @@ sums of those frequencies with each node.
 from __future__ import annotations
 
 import math
+import uuid
 import warnings
 from collections.abc import Callable
 from dataclasses import dataclass
@@ -218,15 +219,21 @@ def wave_cluster(spark: SparkSession, edges: DataFrame, k: int = 1, c2: float =
         labelled = scratch.save(edges.join(bounded_broadcast(labels.withColumnRenamed("id", "src"), labels.count()), "src").select("src", "dst", "w", "component"))
         sizes = labelled.groupBy("component").agg(F.count("*").alias("rows"), F.count_distinct("src").alias("nodes"))
         big = scratch.save(sizes.where((F.col("rows") > max_edges) | (F.col("nodes") > max_nodes)).select("component"))
-        large = [r[0] for r in big.limit(1_000).collect()]  # components too large for a batch are few by their size
-        local = labelled.join(F.broadcast(big), "component", "left_anti") if large else labelled
+        n_large = big.count()
+        large = (r[0] for r in big.toLocalIterator())
+        local = labelled.join(bounded_broadcast(big, n_large), "component", "left_anti") if n_large else labelled
     out = None
     if local is not None:
         out = local.groupBy("component").applyInPandas(lambda part: local_labels(part, k, c2, steps, preset, seed), LABELS)
+    kept, found = f"large-{uuid.uuid4().hex}", False
     for name in large or []:
         own = labelled.where(F.col("component") == name).select("src", "dst", "w")
         one = distributed_labels(spark, scratch.save(own), k, c2, steps, preset, seed, scratch)
-        out = one if out is None else out.unionByName(one)
+        one.write.mode("append").parquet(scratch.path(kept))  # one table for all, so that the plan does not grow with them
+        found = True
+    if found:
+        done = spark.read.schema(LABELS).parquet(scratch.path(kept))
+        out = done if out is None else out.unionByName(done)
     return out
 
 

@@ -1,9 +1,13 @@
 """Steps of components too large for a batch: as many as their lowest peak needs, and no component is left out."""
 
+from unittest.mock import MagicMock
+
 import numpy as np
 import pytest
 
-from ripplegraph.operators.cluster import ROBUST, LocalGraph, Preset, stable_series, stable_steps, wave_cluster
+from ripplegraph.operators import cluster
+from ripplegraph.operators.cluster import LABELS, ROBUST, LocalGraph, Preset, stable_series, stable_steps, wave_cluster
+from ripplegraph.plans.scratch import Scratch
 
 
 def line(n, weak=0):
@@ -61,3 +65,23 @@ def test_distributed_steps_are_not_fixed(spark, monkeypatch):
     got = wave_cluster(spark, edges(spark, g), preset=preset, max_nodes=1, connected=True)
     whole = g.evolve(g.start(preset), 16, 1.99)
     assert got.count() == 4 and seen[0].shape == whole.shape and np.allclose(seen[0], whole)
+
+
+def test_no_large_component_is_left_out(spark, monkeypatch):
+    """More than a thousand of them, whose runs are left out here but for the first."""
+    n = 1_003
+    links = spark.range(n).selectExpr("id * 2 AS a", "id * 2 + 1 AS b")
+    both = links.selectExpr("a AS src", "b AS dst", "1.0D AS w").unionByName(links.selectExpr("b AS src", "a AS dst", "1.0D AS w"))
+    first = spark.createDataFrame([(0, [1], 1, 0, 1.0)], LABELS)
+    seen = []
+
+    def labels(*_):
+        seen.append(1)
+        return first if len(seen) == 1 else MagicMock()
+
+    save = Scratch.save
+    monkeypatch.setattr(cluster, "distributed_labels", labels)
+    monkeypatch.setattr(cluster, "components", lambda *_: spark.range(2 * n).selectExpr("id", "id div 2 * 2 AS component"))
+    monkeypatch.setattr(Scratch, "save", lambda self, df, name=None: df if seen else save(self, df, name))
+    wave_cluster(spark, both, steps=8, max_nodes=1)
+    assert len(seen) == n
