@@ -3,7 +3,7 @@
 A text leaks an item if some window of as many words as the item has a weighted shingle similarity of
 ``SIMILARITY`` or more with it: five-word shingles, weighted by how often they occur, sum of minima over
 sum of maxima. Words are runs of letters and digits, lower-cased; an item of fewer than five words is one
-shingle as a whole, an item without words leaks nowhere.
+shingle as a whole, an item without words leaks nowhere. A text of fewer words than the item is one window.
 
 1. Windows. A window can only reach that similarity if it holds a shingle of the item, so windows are
    placed wherever one occurs: each window once, with its leftmost shared shingle.
@@ -132,10 +132,11 @@ def leaks(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, scratch: S
 
     order = Window.partitionBy("doc_id", "th", "item").orderBy("i")
     first = F.greatest("lowest", F.coalesce(F.lag("i").over(order) + 1, F.lit(0)))
-    last = F.least(F.col("i"), F.col("n") - F.col("length"))
+    last = F.when(F.col("n") < F.col("length"), F.lit(0)).otherwise(F.least(F.col("i"), F.col("n") - F.col("length")))  # a shorter text is one window
+    held = F.least("count", F.col("n") - F.col("size") + 1)
     placed = matches.withColumn("first", first).withColumn("last", last).where("first <= last")
     starts = placed.withColumn("begin", F.explode(F.sequence("first", "last")))
-    windows = starts.select("doc_id", "th", "item", "begin", _shingles("near", F.col("begin") - F.col("lowest"), F.col("count"), F.col("size")).alias("shingles"))
+    windows = starts.select("doc_id", "th", "item", "begin", _shingles("near", F.col("begin") - F.col("lowest"), held, F.col("size")).alias("shingles"))
     windows = scratch.save(windows, "windows")
 
     keys = ["doc_id", "th", "item", "begin"]
@@ -149,8 +150,9 @@ def leaks(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, scratch: S
     likely = windows.join(close, same, "left_semi").withColumn("own", numbered("shingles"))
     against = items.select("item", "item_id", "count", numbered("shingles").alias("others"))
     verified = likely.join(bounded_broadcast(against, n_items), "item").withColumn("both", F.size(F.array_intersect("own", "others")))
-    verified = verified.where(F.col("both") * 100 >= (F.col("count") * 2 - F.col("both")) * PERCENT)
-    scored = verified.select("doc_id", "th", "item_id", "begin", (F.col("both") / (F.col("count") * 2 - F.col("both"))).alias("similarity"))
+    union = F.size("own") + F.col("count") - F.col("both")
+    verified = verified.where(F.col("both") * 100 >= union * PERCENT)
+    scored = verified.select("doc_id", "th", "item_id", "begin", (F.col("both") / union).alias("similarity"))
     best = scored.groupBy("doc_id", "th", "item_id").agg(F.max(F.struct("similarity", (-F.col("begin")).alias("at"))).alias("best"))
     return best.select("doc_id", "th", "item_id", (-F.col("best.at")).alias("begin"), F.col("best.similarity").alias("similarity"))
 
