@@ -6,6 +6,7 @@ one. The inverted index of the templates' fingerprints is fixed by the library a
 entries), and goes to every task. Where a text's fingerprints meet the index, hits of one template that lie
 close together make a candidate region; the template is aligned with the region within ``BAND`` words of the
 hits' diagonals (longest common subsequence), and reported if ``COVERAGE`` of its words are matched there.
+After a report, what the region has left on both sides is aligned again, so repeated notices are all found.
 Of reports that overlap in a text, those with more matched words stay; ties go to the earlier template name.
 
 Each row gives the span in words and in code points of the text, the matched words, and the coverage. Null and empty
@@ -84,21 +85,20 @@ class TemplateIndex:
         at = np.minimum(np.searchsorted(self.keys, values), len(self.keys) - 1)
         return np.flatnonzero(self.keys[at] == values)
 
-    def candidates(self, places: np.ndarray, values: np.ndarray) -> Iterator[tuple[int, int, int]]:
-        """(template, first diagonal, last diagonal) of groups of hits that lie close together."""
+    def candidates(self, places: np.ndarray, values: np.ndarray) -> Iterator[tuple[int, list[tuple[int, int]]]]:
+        """(template, hits (place, diagonal)) of groups of hits that lie close together."""
         by_template: dict[int, list[tuple[int, int]]] = defaultdict(list)
         for at, k in zip(places.tolist(), np.searchsorted(self.keys, values).tolist(), strict=True):
             for t, own in self.postings[k]:
                 by_template[t].append((at, at - own))
         for t, found in by_template.items():
-            diagonals = sorted({d for _, d in found})
-            low = high = diagonals[0]
-            for d in diagonals[1:]:
-                if d - high > BAND:
-                    yield t, low, high
-                    low = d
-                high = d
-            yield t, low, high
+            found.sort(key=lambda x: x[1])
+            first = 0
+            for k in range(1, len(found)):
+                if found[k][1] - found[k - 1][1] > BAND:
+                    yield t, found[first:k]
+                    first = k
+            yield t, found[first:]
 
 
 def align(template: np.ndarray, text: np.ndarray, low: int, high: int) -> tuple[int, int, int]:
@@ -135,10 +135,16 @@ def scan(hashed: np.ndarray, index: TemplateIndex, coverage: float) -> list[tupl
     places, values = fingerprints(hashed)
     hit = index.hits(values)
     found = []
-    for t, low, high in index.candidates(places[hit], values[hit]):
-        matched, begin, end = align(index.words[t], hashed, low, high)
-        if matched >= coverage * len(index.words[t]):
-            found.append((t, matched, begin, end))
+    for t, hits in index.candidates(places[hit], values[hit]):
+        open_parts = [(0, len(hashed), hits)]
+        while open_parts:
+            a, b, own = open_parts.pop()
+            matched, begin, end = align(index.words[t], hashed[a:b], min(d for _, d in own) - a, max(d for _, d in own) - a)
+            if matched >= coverage * len(index.words[t]):
+                begin, end = a + begin, a + end
+                found.append((t, matched, begin, end))
+                sides = (a, begin, [h for h in own if h[0] < begin]), (end, b, [h for h in own if h[0] >= end])
+                open_parts += [side for side in sides if side[2]]
     kept: list[tuple[int, int, int, int]] = []
     for one in sorted(found, key=lambda x: (-x[1], x[3] - x[2], index.names[x[0]], x[2])):
         if all(one[3] <= k[2] or one[2] >= k[3] for k in kept):
