@@ -24,6 +24,7 @@ QUERIES = {
     "op8_pii": op8.op8_pii,
     "op9_quality": op9.op9_quality,
     "op10_mixing": op10.op10_mixing,
+    "quality_base_counts": op9.quality_base_counts,
 }
 ORACLES = {
     "op2_warc": op2.ORACLE,
@@ -32,4 +33,5 @@ ORACLES = {
     "op5_ngram_join": op5.ORACLE,
     "op6_decontamination": op6.ORACLE,
     "op10_mixing": op10.ORACLE,
+    "quality_base_counts": op9.BASE_ORACLE,
 }

@@ -297,12 +297,37 @@ def test_quality_counts_equal_brute_force(spark):
     assert op9.quality(spark, docs(spark, []), labels).count() == 0
 
 
+def test_repeated_words_survive_collisions(spark):
+    texts = [(i, " ".join(np.random.default_rng(i).choice(list("abcdefgh"), 3 + 9 * i))) for i in range(8)] + [(8, "x y"), (9, "x y z"), (10, "x x x x")]
+    for bits in (64, 4, 1):
+        measure = op9._bound(op9._words(F.col("text")), lambda ws: op9.repeated_words(ws, op9._n_words(ws), bits))  # noqa: B023
+        got = {r.doc_id: r.n for r in docs(spark, texts).select("doc_id", measure.alias("n")).collect()}
+        assert got == {i: brute_quality(t)[-1] for i, t in texts}
+
+
+def test_counts_of_a_very_long_text(spark):
+    text = " ".join(f"w{i}" for i in range(400_000))
+    got = op9.base_counts(docs(spark, [(1, text), (2, text + " " + text)])).where("not base_failed or n_words > 0").collect()
+    assert {r.doc_id: (r.n_words, r.n_repeat_words) for r in got} == {1: (400_000, 0), 2: (800_000, 800_000)}
+
+
 def test_quality_tells_good_from_bad(spark):
+    """Figures on all labels; the fitted fold and the trusted rows are among them."""
     sf = "/root/testdata/sf0.1"
     got = op9.op9_quality(spark, sf).join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").where("not base_failed").toPandas()
     assert got[got.quality == 1].kept.mean() > 0.97 and got[got.quality == 0].kept.mean() < 0.03
 
 
+def test_base_counts_equal_sql(spark):
+    import duckdb
+
+    con = duckdb.connect()
+    con.sql("create view documents as select * from '/root/testdata/sf0.01/documents.parquet'")
+    columns = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed"]
+    got = op9.quality_base_counts(spark, "/root/testdata/sf0.01").select(*columns).collect()
+    assert Counter(map(tuple, got)) == Counter(con.sql(f"select {', '.join(columns)} from ({op9.BASE_ORACLE})").fetchall())
+
+
 def test_mixing_targets(spark):
     sizes = spark.createDataFrame([("a", 10), ("b", 1000), ("c", 500), ("d", 2000), (None, 0)], "source string, source_size long")
     got = {r.source: r.target for r in op10.source_targets(sizes).collect()}
