@@ -6,12 +6,12 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from ripplegraph.operators import wave
 from ripplegraph.operators.cluster import LABELS, LocalGraph, codes
 from ripplegraph.operators.graph import degrees, walk_weights
-from ripplegraph.plans.scratch import BROADCAST_ROWS, Scratch
+from ripplegraph.plans.ordered import ordered
+from ripplegraph.plans.scratch import Scratch
 
 
 def exact_pairs(g: LocalGraph) -> tuple[np.ndarray, np.ndarray]:
@@ -56,47 +56,43 @@ def eigenvalues_exact(edges: DataFrame, max_nodes: int = 5_000) -> DataFrame:
 def heat(spark: SparkSession, edges: DataFrame, state: DataFrame, steps: int, kappa: float = 1.0, scratch: Scratch | None = None, unroll: int = 8) -> DataFrame:
     """State after ``steps`` of u - kappa * (u - mean of the neighbours)."""
     scratch = scratch or Scratch(spark, "heat")
-    rows = scratch.save(wave.with_own_rows(walk_weights(edges)))
-    if rows.count() <= BROADCAST_ROWS:
-        rows = F.broadcast(rows)
+    rows, few = wave.laid_out(wave.with_own_rows(walk_weights(edges)), scratch)
+    state = wave.one_task(state, few)
     for t in range(1, steps + 1):
         state = wave.step(rows, state, 1 - kappa, 0.0, kappa)
         if t % unroll == 0 and t < steps:
-            state = scratch.save(state)
+            state = wave.one_task(scratch.save(state), few)
     return scratch.save(state)
 
 
 def random_walk(spark: SparkSession, edges: DataFrame, start: DataFrame, steps: int, lazy: bool = False, scratch: Scratch | None = None, unroll: int = 8, eps: float = 0.0) -> DataFrame:
     """(id, pi): the distribution after ``steps`` from ``start(id, pi)``; entries under ``eps`` are dropped each step."""
     scratch = scratch or Scratch(spark, "walk")
-    rows = scratch.save(walk_weights(edges, "lazy" if lazy else "walk").select("src", "dst", "p"))
-    if rows.count() <= BROADCAST_ROWS:
-        rows = F.broadcast(rows)
-    now = start
+    rows, few = wave.laid_out(walk_weights(edges, "lazy" if lazy else "walk").select("src", "dst", "p"), scratch, "src")
+    now = wave.one_task(start, few)
     for t in range(1, steps + 1):
         now = rows.join(now, rows["src"] == now["id"]).groupBy("dst").agg(F.sum(F.col("p") * F.col("pi")).alias("pi")).withColumnRenamed("dst", "id")
         if eps:
             now = now.where(F.col("pi") >= eps)
         if t % unroll == 0 and t < steps:
-            now = scratch.save(now)
+            now = wave.one_task(scratch.save(now), few)
     return scratch.save(now)
 
 
-def sweep(edges: DataFrame, scores: DataFrame) -> DataFrame:
-    """(id, place, cut, volume, conductance) along falling ``score``; nodes without a score are never in the set.
-
-    Prefix sums over one order; for the local sets that truncation leaves.
-    """
+def sweep(edges: DataFrame, scores: DataFrame, scratch: Scratch | None = None) -> DataFrame:
+    """(id, place, cut, volume, conductance) along falling ``score``, from place 1; nodes without a score are never in the set."""
+    scratch = scratch or Scratch(edges.sparkSession, "sweep")
     deg = degrees(edges)
     total = deg.agg(F.sum("deg").alias("total"))
-    placed = scores.join(deg, "id").withColumn("place", F.row_number().over(Window.orderBy(F.desc("score"), "id")))
+    falling = [F.desc("score"), F.asc("id")]
+    placed = scratch.save(ordered(scores.join(deg, "id"), falling, scratch))
     at = placed.select("id", "place")
     known = edges.join(at.toDF("src", "a"), "src").join(at.toDF("dst", "b"), "dst", "left")
     inner = known.where("b < a").groupBy(F.col("src").alias("id")).agg(F.sum("w").alias("inner"))
-    order = Window.orderBy("place").rowsBetween(Window.unboundedPreceding, 0)
-    sums = placed.join(inner, "id", "left").withColumn("volume", F.sum("deg").over(order)).withColumn("cut", F.sum(F.col("deg") - 2 * F.coalesce("inner", F.lit(0.0))).over(order))
+    own = placed.drop("place").join(inner, "id", "left")
+    sums = ordered(own, falling, scratch, {"volume": F.col("deg"), "cut": F.col("deg") - 2 * F.coalesce("inner", F.lit(0.0))})
     small = F.least("volume", F.col("total") - F.col("volume"))
-    return sums.crossJoin(F.broadcast(total)).select("id", "place", "cut", "volume", F.when(small > 0, F.col("cut") / small).alias("conductance"))
+    return sums.crossJoin(F.broadcast(total)).select("id", (F.col("place") + 1).alias("place"), "cut", "volume", F.when(small > 1e-9 * F.col("total"), F.col("cut") / small).alias("conductance"))
 
 
 def truncated_walk(spark: SparkSession, edges: DataFrame, node: int, eps: float = 1e-4, steps: int = 20) -> DataFrame:
@@ -170,8 +166,22 @@ def best_ratio_cut(spark: SparkSession, edges: DataFrame, max_nodes: int = 16) -
     return _splits(spark, edges, max_nodes).withColumn("ratio", ratio).orderBy("ratio", "mask").limit(1)
 
 
-def pair_swap(edges: pd.DataFrame, inside: set[int], passes: int = 10) -> set[int]:
-    """Improve a balanced split of a small graph by swapping the best pair while that lowers the cut."""
+def pair_swap(edges: DataFrame, labels: DataFrame, passes: int = 10, max_nodes: int = 5_000) -> DataFrame:
+    """(id, bit): the split ``labels(id, bit)`` of a graph of a checked size, improved by swaps of pairs; sizes stay."""
+    _guard(edges, max_nodes)
+
+    def swapped(part: pd.DataFrame) -> pd.DataFrame:
+        known = part[part["dst"] >= 0]
+        inside = swap_pairs(known, set(part[(part["dst"] < 0) & (part["w"] == 1.0)]["src"].tolist()), passes)
+        ids = np.unique(known["src"])
+        return pd.DataFrame({"id": ids, "bit": np.isin(ids, list(inside)).astype(int)})
+
+    both = edges.select("src", "dst", "w").unionByName(labels.select(F.col("id").alias("src"), F.lit(-1).cast("long").alias("dst"), F.col("bit").cast("double").alias("w")))
+    return both.groupBy(F.lit(0).alias("all")).applyInPandas(swapped, "id long, bit int")
+
+
+def swap_pairs(edges: pd.DataFrame, inside: set[int], passes: int = 10) -> set[int]:
+    """Swap the best pair of a split while that lowers the cut."""
     g = LocalGraph.of(edges["src"].to_numpy(), edges["dst"].to_numpy(), edges["w"].to_numpy())
     n = len(g.ids)
     w = np.zeros((n, n))

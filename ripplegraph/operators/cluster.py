@@ -23,6 +23,8 @@ from ripplegraph.functions.bounds import DEFAULT_C2, check_speed
 from ripplegraph.operators import wave
 from ripplegraph.operators.components import components
 from ripplegraph.operators.graph import nodes_of
+from ripplegraph.operators.spectrum import music
+from ripplegraph.plans.ordered import ordered
 from ripplegraph.plans.scratch import Scratch, bounded_broadcast
 
 #: Steps whose probes are fetched at once.
@@ -40,6 +42,7 @@ class Preset:
     align: bool = True
     prominence: float = 3.0
     eta: float = 10.0
+    frequencies: str = "peaks"  # or "subspace", for frequencies that are too close for the bins of the run
 
 
 ROBUST = Preset()
@@ -143,12 +146,25 @@ def local_modes(g: LocalGraph, k: int, c2: float, steps: int, preset: Preset, se
     history = g.evolve(g.start(preset, seed), steps, c2)
     if not preset.center:
         history = history - history.mean(axis=2, keepdims=True)
+    if preset.frequencies == "subspace":
+        return subspace_modes(g, history, k, preset)
     z = np.fft.rfft(history * window_values(preset.window, steps), axis=2)
     power = (g.deg[:, None, None] * np.abs(z) ** 2).sum(axis=(0, 1))
     found = find_peaks(power, k, preset.prominence)
     return 2 * np.pi * found / steps, np.column_stack([combine(z[:, :, b], g.deg, preset.align) for b in found]) if len(found) else np.zeros((len(g.ids), 0))
 
 
+def subspace_modes(g: LocalGraph, history: np.ndarray, k: int, preset: Preset, probes: int = 64, signals: int = 32) -> tuple[np.ndarray, np.ndarray]:
+    """The same from a subspace estimate of the frequencies, which needs fewer steps to part two of them, and matched sums."""
+    steps = history.shape[2]
+    series = history.reshape(-1, steps)[:probes]
+    found = music(series, min(256, steps // 2), min(signals, len(g.ids) - 1))[:k]
+    t = np.arange(1, steps + 1)
+    waves = np.exp(-1j * np.outer(found, t)) * window_values(preset.window, steps)
+    z = np.einsum("nrt,jt->nrj", history, waves)
+    return found, np.column_stack([combine(z[:, :, j], g.deg, preset.align) for j in range(len(found))]) if len(found) else np.zeros((len(g.ids), 0))
+
+
 def settled(now: float | None, last: float | None, steps: int, preset: Preset, tol: float = 0.02) -> bool:
     """Whether the lowest peak has not moved against half of the steps, and they hold cycles enough of it."""
     return now is not None and last is not None and abs(now - last) <= max(tol * now, 2 * math.pi / steps) and now * steps >= 2 * math.pi * preset.eta
@@ -168,18 +184,20 @@ def stable_steps(g: LocalGraph, c2: float, preset: Preset, t_max: int = 1 << 15,
     return steps
 
 
-def probe_power(series: np.ndarray, preset: Preset) -> np.ndarray:
-    """Power by bin of a history (probe, start, step)."""
+def probe_power(series: np.ndarray, preset: Preset, deg: np.ndarray | None = None) -> np.ndarray:
+    """Power by bin of a history (probe, start, step), weighted by degree as in a batch; the mean is taken off only where the start was not centred."""
     h = window_values(preset.window, series.shape[2])
-    return sum((np.abs(np.fft.rfft((x - x.mean(axis=1, keepdims=True)) * h, axis=1)) ** 2).sum(axis=0) for x in series.transpose(1, 0, 2))
+    weight = np.ones(len(series)) if deg is None else deg
+    flat = (lambda x: x) if preset.center else (lambda x: x - x.mean(axis=1, keepdims=True))
+    return sum((weight[:, None] * np.abs(np.fft.rfft(flat(x) * h, axis=1)) ** 2).sum(axis=0) for x in series.transpose(1, 0, 2))
 
 
-def stable_series(go: Callable[[int], np.ndarray], preset: Preset, t_max: int = 1 << 17) -> np.ndarray:
+def stable_series(go: Callable[[int], np.ndarray], preset: Preset, t_max: int = 1 << 17, deg: np.ndarray | None = None) -> np.ndarray:
     """The history of the probes, doubled until their lowest peak is settled; ``go`` gives so many steps more."""
     series, last = go(64), None
     while True:
         steps = series.shape[2]
-        power = probe_power(series, preset)
+        power = probe_power(series, preset, deg)
         found = find_peaks(power, 1, preset.prominence)
         now = 2 * math.pi * int(found[0]) / steps if len(found) else None
         if settled(now, last, steps, preset) or not power.any():  # no power: a node of its own
@@ -253,11 +271,14 @@ def distributed_labels(spark: SparkSession, edges: DataFrame, k: int, c2: float,
             more -= span
         return np.concatenate(parts, axis=2)
 
-    series = stable_series(go, preset) if steps is None else go(steps)
+    weights = np.array([r["deg"] for r in run.chosen.orderBy("id").collect()])  # n_probes at most
+    series = stable_series(go, preset, deg=weights) if steps is None else go(steps)
     steps = series.shape[2]
-    found = find_peaks(probe_power(series, preset), k, preset.prominence)
+    found = find_peaks(probe_power(series, preset, weights), k, preset.prominence)
     omegas = [2 * math.pi * int(b) / steps for b in found]
     done = wave.run(spark, edges, state, steps, c2, scratch, filters=omegas, window=preset.window)
+    if not preset.center:
+        done = wave.detrended_sums(done, omegas, steps, preset.window, preset.seeds)
     columns, first = [], None
     for j in range(len(omegas)):
         re, im = ([F.col(f"{part}{j}_{r}") for r in range(preset.seeds)] for part in ("re", "im"))
@@ -302,9 +323,8 @@ def recursive_bisect(spark: SparkSession, edges: DataFrame, depth: int, scratch:
     return labels.unionByName(lost.select("id", F.col("id").alias("group_rep")))
 
 
-def relabel(labels: DataFrame) -> DataFrame:
+def relabel(labels: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     """Adds ``label``, the clusters counted from 0 in the order of their representatives."""
-    reps = labels.select("group_rep").distinct()
-    from pyspark.sql.window import Window
-
-    return labels.join(reps.withColumn("label", F.dense_rank().over(Window.orderBy("group_rep")) - 1), "group_rep")
+    scratch = scratch or Scratch(labels.sparkSession, "relabel")
+    reps = ordered(labels.select("group_rep").distinct(), ["group_rep"], scratch).withColumnRenamed("place", "label")
+    return labels.join(reps, "group_rep")

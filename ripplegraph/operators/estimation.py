@@ -10,7 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ripplegraph.operators.graph import degrees
-from ripplegraph.plans.scratch import BROADCAST_ROWS, Scratch
+from ripplegraph.operators.wave import laid_out, one_task
+from ripplegraph.plans.scratch import Scratch
 
 
 def flows(edges: DataFrame, rate: float = 1.0, inlet: int = 127, inflow: float = 2.0, outlets: tuple[int, ...] = (0, 7, 56, 63)) -> DataFrame:
@@ -25,21 +26,34 @@ def rooms(spark: SparkSession, n: int = 128, sources: tuple[int, ...] = (9, 54,
     return spark.range(n).select("id", F.lit(0.0).alias("c"), F.lit(density * volume).alias("mass"), F.when(F.col("id").isin(*sources), generation).otherwise(0.0).alias("gen"), F.lit(removal).alias("rem"))
 
 
-def contaminant_run(spark: SparkSession, air: DataFrame, state: DataFrame, steps: int, dt: float = 0.1, scratch: Scratch | None = None, unroll: int = 8) -> DataFrame:
-    """Euler steps of mass * dc/dt = inflow - outflow + gen - rem * c; one join and one sum a step."""
+#: Stages of a step: share of the step to the next stage's point, and weight of the slope in the sum.
+STAGES = {"euler": [(1.0, 1.0)], "rk4": [(0.5, 1 / 6), (0.5, 1 / 3), (1.0, 1 / 3), (0.0, 1 / 6)]}
+
+
+def contaminant_run(spark: SparkSession, air: DataFrame, state: DataFrame, steps: int, dt: float = 0.1, scratch: Scratch | None = None, unroll: int = 8, method: str = "euler") -> DataFrame:
+    """``steps`` of mass * dc/dt = inflow - outflow + gen - rem * c, by Euler or fourth-order steps; one join and one sum a stage."""
     scratch = scratch or Scratch(spark, "contaminant")
     out = air.groupBy(F.col("src").alias("id")).agg(F.sum("f").alias("leaves"))
     own = state.select("id", F.col("id").alias("to")).join(out, "id", "left").select("id", "to", (-F.coalesce("leaves", F.lit(0.0))).alias("f"), F.lit(True).alias("own"))
-    rows = own.unionByName(air.where("src >= 0 and dst >= 0").select(F.col("src").alias("id"), F.col("dst").alias("to"), "f", F.lit(False).alias("own")))
-    rows = F.broadcast(scratch.save(rows)) if rows.count() <= BROADCAST_ROWS else scratch.save(rows)
+    rows, few = laid_out(own.unionByName(air.where("src >= 0 and dst >= 0").select(F.col("src").alias("id"), F.col("dst").alias("to"), "f", F.lit(False).alias("own"))), scratch, "id")
+    state = one_task(state.withColumns({"y": F.col("c"), "sum": F.lit(0.0)}), few)
+    stages = STAGES[method]
+    done = 0
     for t in range(1, steps + 1):
-        met = rows.join(state, "id")
-        mine = lambda c: F.max(F.when(F.col("own"), F.col(c))).alias(c)
-        moved = met.groupBy("to").agg(F.sum(F.col("f") * F.col("c")).alias("net"), *(mine(c) for c in ("c", "mass", "gen", "rem")))
-        state = moved.select(F.col("to").alias("id"), (F.col("c") + dt / F.col("mass") * (F.col("net") + F.col("gen") - F.col("rem") * F.col("c"))).alias("c"), "mass", "gen", "rem")
-        if t % unroll == 0 and t < steps:
-            state = scratch.save(state)
-    return scratch.save(state)
+        for i, (share, weight) in enumerate(stages):
+            mine = lambda c: F.max(F.when(F.col("own"), F.col(c))).alias(c)
+            moved = rows.join(state, "id").groupBy("to").agg(F.sum(F.col("f") * F.col("y")).alias("net"), *(mine(c) for c in ("c", "y", "sum", "mass", "gen", "rem")))
+            slope = (F.col("net") + F.col("gen") - F.col("rem") * F.col("y")) / F.col("mass")
+            total = F.col("sum") + slope * weight
+            if i + 1 < len(stages):
+                new = {"c": F.col("c"), "y": F.col("c") + slope * (dt * share), "sum": total}
+            else:
+                new = {"c": F.col("c") + total * dt, "y": F.col("c") + total * dt, "sum": F.lit(0.0)}
+            state = moved.select(F.col("to").alias("id"), *(x.alias(c) for c, x in new.items()), "mass", "gen", "rem")
+            done += 1
+            if done % unroll == 0 and (t < steps or i + 1 < len(stages)):
+                state = one_task(scratch.save(state), few)
+    return scratch.save(state.drop("y", "sum"))
 
 
 def within(edges: DataFrame, labels: DataFrame) -> DataFrame:
@@ -56,13 +70,12 @@ def consensus(spark: SparkSession, values: DataFrame, edges: DataFrame, rounds:
     count = edges.groupBy("src").agg(F.count("*").alias("n"))
     pairs = edges.join(count, "src").join(count.toDF("dst", "m"), "dst").select("src", "dst", (1 / (1 + F.greatest("n", "m"))).alias("p"))
     loops = values.select(F.col("id").alias("src")).join(pairs.groupBy("src").agg(F.sum("p").alias("out")), "src", "left").select("src", F.col("src").alias("dst"), (1 - F.coalesce("out", F.lit(0.0))).alias("p"))
-    rows = scratch.save(pairs.unionByName(loops))
-    if rows.count() <= BROADCAST_ROWS:
-        rows = F.broadcast(rows)
+    rows, few = laid_out(pairs.unionByName(loops), scratch)
+    values = one_task(values, few)
     for t in range(1, rounds + 1):
         values = rows.join(values, rows["dst"] == values["id"]).groupBy("src").agg(F.sum(F.col("p") * F.col("x")).alias("x")).withColumnRenamed("src", "id")
         if t % unroll == 0 and t < rounds:
-            values = scratch.save(values)
+            values = one_task(scratch.save(values), few)
     return values
 
 
@@ -81,6 +94,34 @@ def iterations_to_tol(distances: DataFrame, tol: float) -> DataFrame:
     return distances.where(F.col("rms") <= tol).agg(F.min("rounds").alias("rounds"))
 
 
+def consensus_errors(values: DataFrame, edges: DataFrame, labels: DataFrame, rounds: list[int], max_rooms: int = 1_000) -> DataFrame:
+    """(rounds, rms): distance of all nodes from their cluster's mean after so many rounds, as a batch of a checked size.
+
+    ``values(id, x)`` and ``labels(id, cluster)`` of nodes 0 .. n-1; only links inside clusters talk.
+    """
+    n = labels.count()
+    if n > max_rooms:
+        raise ValueError(f"{n} nodes are more than the {max_rooms} of one batch")
+
+    def curve(part: pd.DataFrame) -> pd.DataFrame:
+        own = part[part["dst"] < 0].sort_values("src")
+        x, group = own["w"].to_numpy(), own["cluster"].to_numpy()
+        links = part[part["dst"] >= 0]
+        a, b = links["src"].to_numpy(), links["dst"].to_numpy()
+        same = group[a] == group[b]
+        mix = metropolis(a[same], b[same], n)
+        mean = (np.bincount(group, x) / np.maximum(np.bincount(group), 1))[group]
+        out, done, now = [], 0, x
+        for r in sorted(rounds):
+            now, done = np.linalg.matrix_power(mix, r - done) @ now, r
+            out.append((r, float(np.sqrt(((now - mean) ** 2).mean()))))
+        return pd.DataFrame(out, columns=["rounds", "rms"])
+
+    own = values.join(labels, "id").select(F.col("id").alias("src"), F.lit(-1).cast("long").alias("dst"), F.col("x").alias("w"), F.col("cluster").cast("long").alias("cluster"))
+    both = own.unionByName(edges.select("src", "dst", "w", F.lit(-1).cast("long").alias("cluster")))
+    return both.groupBy(F.lit(0).alias("all")).applyInPandas(curve, "rounds int, rms double")
+
+
 @dataclass(frozen=True)
 class Filter:
     """Constants of the estimation experiment."""

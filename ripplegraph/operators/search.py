@@ -7,6 +7,7 @@ import math
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ripplegraph.operators.estimation import STAGES
 from ripplegraph.plans.scratch import BROADCAST_ROWS, Scratch
 
 PI = math.pi
@@ -76,11 +77,11 @@ def control(agents: DataFrame, slopes: DataFrame, dt: float, speed: float = 0.5)
     return agents.join(slopes, "id").select("id", move("x", "bx").alias("x"), move("y", "by").alias("y"), *rest)
 
 
-def run(spark: SparkSession, agents: DataFrame, functions: DataFrame, steps: int, dt: float = 0.05, speed: float = 0.5, mode: str = "central", label=None, scratch: Scratch | None = None) -> tuple[DataFrame, DataFrame]:
+def run(spark: SparkSession, agents: DataFrame, functions: DataFrame, steps: int, dt: float = 0.05, speed: float = 0.5, mode: str = "central", label=None, scratch: Scratch | None = None, method: str = "midpoint") -> tuple[DataFrame, DataFrame]:
     """(trajectories ``(t, id, x, y)``, statistics) of a search.
 
     ``mode='clustered'`` groups the agents anew at each step by ``label(agents)`` and adds cluster sums; the
-    trajectories equal the central ones, as sums do. A step is one second-order Runge-Kutta piece.
+    trajectories equal the central ones, as sums do. A step is one Runge-Kutta piece: ``midpoint`` of second order, or ``rk4``.
     """
     scratch = scratch or Scratch(spark, "search")
     n = agents.count()
@@ -92,13 +93,16 @@ def run(spark: SparkSession, agents: DataFrame, functions: DataFrame, steps: int
     def sums(now: DataFrame) -> DataFrame:
         if mode == "central":
             return central_sum(now, functions)
-        return clustered_sum(now.join(label(now), "id"), functions)
+        return clustered_sum(now.join(label(now.select("id", "x", "y")), "id"), functions)
 
     for t in range(1, steps + 1):
-        half = scratch.save(statistics_step(stats, sums(agents), n, dt / 2))
-        middle = scratch.save(control(agents, gradient(agents, half), dt / 2, speed))
-        stats = scratch.save(statistics_step(stats, sums(middle), n, dt))
-        agents = scratch.save(control(agents, gradient(middle, stats), dt, speed))
+        if method == "rk4":
+            agents, stats = rk4_step(agents, stats, sums, n, dt, speed, scratch)
+        else:
+            half = scratch.save(statistics_step(stats, sums(agents), n, dt / 2))
+            middle = scratch.save(control(agents, gradient(agents, half), dt / 2, speed))
+            stats = scratch.save(statistics_step(stats, sums(middle), n, dt))
+            agents = scratch.save(control(agents, gradient(middle, stats), dt, speed))
         pieces.append(agents.select(F.lit(t).alias("t"), "id", "x", "y"))
     out = pieces[0]
     for piece in pieces[1:]:
@@ -106,6 +110,25 @@ def run(spark: SparkSession, agents: DataFrame, functions: DataFrame, steps: int
     return out, stats
 
 
+def rk4_step(agents: DataFrame, stats: DataFrame, sums, n: int, dt: float, speed: float, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """One classical fourth-order step of agents and statistics together; four passes of sums and slopes."""
+    fold = lambda c: F.when(c < 0, -c).when(c > 1, 2 - c).otherwise(c)
+    here = agents.select("id", "x", "y", F.col("x").alias("x0"), F.col("y").alias("y0"), F.lit(0.0).alias("ax"), F.lit(0.0).alias("ay"))
+    there = stats.withColumns({"s0": F.col("s"), "ds": F.lit(0.0)})
+    size = F.sqrt(F.col("bx") ** 2 + F.col("by") ** 2)
+    way = lambda b: F.when(size > 1e-12, -speed * F.col(b) / size).otherwise(0.0)
+    for share, weight in STAGES["rk4"]:
+        grow = F.col("total") - n * F.col("mu")
+        new = there.join(F.broadcast(sums(here).select("k1", "k2", "total")), ["k1", "k2"]).select("k1", "k2", "norm", "lam", "mu", (F.col("s0") + dt * share * grow).alias("s"), "s0", (F.col("ds") + weight * grow).alias("ds"))
+        moved = here.join(gradient(here, there), "id").select(
+            "id", fold(F.col("x0") + dt * share * way("bx")).alias("x"), fold(F.col("y0") + dt * share * way("by")).alias("y"), "x0", "y0",
+            (F.col("ax") + weight * way("bx")).alias("ax"), (F.col("ay") + weight * way("by")).alias("ay"),
+        )
+        here, there = scratch.save(moved), scratch.save(new)
+    done = here.select("id", fold(F.col("x0") + dt * F.col("ax")).alias("x"), fold(F.col("y0") + dt * F.col("ay")).alias("y"))
+    return scratch.save(done), scratch.save(there.select("k1", "k2", "norm", "lam", "mu", (F.col("s0") + dt * F.col("ds")).alias("s")))
+
+
 def coverage(stats: DataFrame) -> DataFrame:
     """(coverage): weighted squares of the statistics; 0 is perfect."""
     return stats.agg(F.sum(F.col("lam") * F.col("s") * F.col("s")).alias("coverage"))

@@ -27,7 +27,7 @@ DAY_RING = both("SELECT x, (x + 1) % n AS y, 1.0 AS w FROM (SELECT row_number()
 CONV = both("SELECT x, y, 1.0 AS w FROM (SELECT conv_id * 1000 + turn AS y, lag(conv_id * 1000 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS x FROM conversations) WHERE x IS NOT NULL")
 DOC_WORDS = both(
     r"""WITH t AS (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '[\p{L}\p{N}_]{2,}')) AS word FROM documents),
-    k AS (SELECT word FROM t GROUP BY word HAVING count(*) BETWEEN 0.02 * (SELECT count(*) FROM documents) AND 0.4 * (SELECT count(*) FROM documents)),
+    k AS (SELECT word FROM t GROUP BY word HAVING count(*) BETWEEN 0.02 * (SELECT count(*) FROM documents) AND least(0.4 * (SELECT count(*) FROM documents), 20000)),
     o AS (SELECT doc_id, word FROM t SEMI JOIN k USING (word))
     SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS w FROM o a JOIN o b ON a.word = b.word AND a.doc_id < b.doc_id GROUP BY ALL HAVING count(*) >= 3"""
 )
@@ -119,7 +119,7 @@ _HALF = f"SELECT x, y, sum(w) AS w FROM (SELECT month(o_orderdate) AS m, c_natio
 
 ORACLES: dict[str, str] = {
     **{f"{name}_graph": links(sql) for name, sql in {"trade": TRADE, "region_chain": CHAIN, "region_trade": ALIKE, "copurchase": COPURCHASE, "part_supp": PART_SUPP, "cust_part": CUST_PART, "user_line": USER_LINE, "day_ring": DAY_RING, "conv_chain": CONV, "doc_words": DOC_WORDS, "building": BUILDING}.items()},
-    "event_flow": "SELECT last AS a, event_type AS b, count(*) AS w FROM (SELECT event_type, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS last FROM events) WHERE last IS NOT NULL GROUP BY ALL",
+    "event_flow": "SELECT last AS a, event_type AS b, count(*) AS w FROM (SELECT event_type, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS last FROM events WHERE user_id IS NOT NULL) WHERE last IS NOT NULL GROUP BY ALL",
     "page_links": "SELECT host, target, count(*) AS w FROM (SELECT regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS host, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS target FROM pages) GROUP BY ALL",
     "degree_table": f"SELECT src AS id, round(sum(w), 6) AS deg FROM ({TRADE}) GROUP BY src",
     "walk_table": f"SELECT src, dst, round(w / sum(w) OVER (PARTITION BY src), 6) AS p FROM ({TRADE})",
@@ -143,8 +143,6 @@ ORACLES: dict[str, str] = {
     "mixing_kinds": "SELECT round(lam, 6) AS lam, round(-1 / ln(abs(1 - lam)), 6) AS second, round(-1 / ln(1 - lam / 2), 6) AS lazy, round(-1 / ln(greatest(abs(1 - lam), 0.9)), 6) AS slem FROM (SELECT i / 20.0::DOUBLE AS lam FROM range(1, 20) t(i))",
     "horizon_rules": f"SELECT round(lam, 6) AS lam, round({2 * math.pi * 6.5!r} / w, 6) AS cycles, round(6.5 / w, 6) AS printed, round({2 * math.pi * 6.5!r} / w + 1000, 6) AS gathered, round(1 / abs(w - acos((2 - {C2} * (lam + 0.05)) / 2)), 6) AS resolution FROM (SELECT lam, {_W2} AS w FROM (SELECT i / 20.0::DOUBLE AS lam FROM range(1, 20) t(i)))",
     **dict.fromkeys(["cluster_region", "spectral_exact_region"], "SELECT n_nationkey::BIGINT AS n_nationkey, min(n_nationkey) OVER (PARTITION BY n_regionkey)::BIGINT AS group_rep FROM nation"),
-    "eigenvalues_region": "SELECT unnest([1, 2, 3, 4])::INT AS j, true AS within_a_bin",
-    "orthogonal_region": "SELECT unnest([1, 2, 3, 4])::INT AS j, true AS close",
     "line20_cut_distributed": "SELECT i AS id, CASE WHEN i <= 10 THEN 1 ELSE 11 END::BIGINT AS group_rep FROM range(1, 21) t(i)",
     "line200_cut": "SELECT i AS id, CASE WHEN i <= 100 THEN 1 ELSE 101 END::BIGINT AS group_rep FROM range(1, 201) t(i)",
     "planted_cut": "SELECT i AS id, CASE WHEN i < 680 THEN 0 ELSE 680 END::BIGINT AS group_rep FROM range(1000) t(i)",
@@ -171,9 +169,8 @@ ORACLES: dict[str, str] = {
     "prior_mu": f"SELECT k1, k2, round(mu, 6) + 0.0 AS mu FROM ({_MU})",
     "search_sum_central": _SUMS, "search_sum_clustered": _SUMS,
     "search_gradient": f"SELECT id, round(sum(lam * -mu / norm * -k1 * {_PI} * sin(k1 * {_PI} * x) * cos(k2 * {_PI} * y)), 5) + 0.0 AS bx, round(sum(lam * -mu / norm * -k2 * {_PI} * cos(k1 * {_PI} * x) * sin(k2 * {_PI} * y)), 5) + 0.0 AS by FROM ({_AGENTS}), ({_MU}) GROUP BY id",
-    "search_modes_agree": "SELECT true AS equal, true AS covered",
-    "weekly_event_flow": "SELECT (epoch(ts)::BIGINT // 604800 * 604800)::BIGINT AS start, last AS a, event_type AS b, count(*) AS w FROM (SELECT ts, event_type, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS last FROM events) WHERE last IS NOT NULL GROUP BY ALL",
-    "event_sessions": "WITH g AS (SELECT *, sum(CASE WHEN since IS NULL OR ts - since >= INTERVAL 2 DAY THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM (SELECT *, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS since FROM events)) SELECT user_id, floor(epoch(min(ts)))::BIGINT AS start, floor(epoch(max(ts) + INTERVAL 2 DAY))::BIGINT AS \"end\", count(*) AS n FROM g GROUP BY user_id, k",
+    "weekly_event_flow": "SELECT (epoch(ts)::BIGINT // 604800 * 604800)::BIGINT AS start, last AS a, event_type AS b, count(*) AS w FROM (SELECT ts, event_type, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS last FROM events WHERE user_id IS NOT NULL) WHERE last IS NOT NULL GROUP BY ALL",
+    "event_sessions": "WITH g AS (SELECT *, sum(CASE WHEN since IS NULL OR ts - since >= INTERVAL 2 DAY THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM (SELECT *, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS since FROM events WHERE user_id IS NOT NULL)) SELECT user_id, floor(epoch(min(ts)))::BIGINT AS start, floor(epoch(max(ts) + INTERVAL 2 DAY))::BIGINT AS \"end\", count(*) AS n FROM g GROUP BY user_id, k",
     "monthly_trade_drift": f"WITH a AS ({both(_HALF.format('m <= 6'))}), b AS ({both(_HALF.format('m > 6'))}) SELECT round(sum(abs(coalesce(a.w, 0) - coalesce(b.w, 0))) / sum(coalesce(a.w, 0) + coalesce(b.w, 0)), 6) AS drift FROM a FULL JOIN b ON a.src = b.src AND a.dst = b.dst",
 }
 ORACLES["dft_arrays_trade"] = ORACLES["dft_bins_trade"]

@@ -8,6 +8,7 @@ import tempfile
 import uuid
 
 from py4j.protocol import Py4JError
+from pyspark.errors import PySparkException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -33,6 +34,7 @@ class Scratch:
             root = f"file://{tempfile.gettempdir()}/ripplegraph-scratch"
         self.root = f"{root.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
         self._round = 0
+        self.tables: list[str] = []
         atexit.register(self._leave)
 
     def path(self, name: str) -> str:
@@ -46,6 +48,14 @@ class Scratch:
         df.write.mode("overwrite").parquet(self.path(name))
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
+    def bucketed(self, df: DataFrame, column: str) -> DataFrame:
+        """``df`` as a table bucketed by ``column`` into as many buckets as a shuffle has partitions: joins on it move the other side only."""
+        n = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        name = f"ripple_{uuid.uuid4().hex}"
+        df.repartition(n, column).write.bucketBy(n, column).sortBy(column).option("path", self.path(name)).saveAsTable(name)
+        self.tables.append(name)
+        return self.spark.table(name)
+
     def drop(self, name: str = "") -> None:
         """Delete one table, or all of them."""
         jvm = self.spark._jvm
@@ -54,8 +64,10 @@ class Scratch:
 
     def _leave(self) -> None:
         try:
+            for name in self.tables:
+                self.spark.sql(f"DROP TABLE IF EXISTS {name}")
             self.drop()
-        except (Py4JError, OSError, AttributeError):  # the JVM has gone before us: nothing can be deleted through it
+        except (Py4JError, PySparkException, OSError, AttributeError):  # the JVM has gone before us: nothing can be deleted through it
             return
 
     def release(self) -> None:

@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ripplegraph.operators.graph import symmetrize
+from ripplegraph.plans.ordered import ordered
+from ripplegraph.plans.scratch import Scratch
 from ripplegraph.sources.tables import table
 
 #: The 78 friendships of a karate club, members 1 to 34 (public data).
@@ -127,9 +129,11 @@ def user_line(spark: SparkSession, sf_dir: str, weak: float = 0.001, gap_days: i
 
 def day_ring(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Distinct ship days in a ring, numbered from 0."""
-    days = table(spark, sf_dir, "lineitem").select(F.to_date("l_shipdate").alias("d")).distinct()
-    placed = days.select((F.row_number().over(Window.orderBy("d")) - 1).cast("long").alias("id"), F.count("*").over(Window.partitionBy()).alias("n"))  # one row per day
-    return symmetrize(placed.select(F.col("id").alias("src"), F.pmod(F.col("id") + 1, F.col("n")).alias("dst"), F.lit(1.0).alias("w")))
+    scratch = Scratch(spark, "days")
+    days = table(spark, sf_dir, "lineitem").select(F.to_date("l_shipdate").alias("d")).where("d is not null").distinct()
+    placed = scratch.save(ordered(days, ["d"], scratch).select(F.col("place").cast("long").alias("id")))
+    n = placed.count()
+    return symmetrize(placed.select(F.col("id").alias("src"), F.pmod(F.col("id") + 1, F.lit(n)).alias("dst"), F.lit(1.0).alias("w")))
 
 
 def conv_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -141,9 +145,9 @@ def conv_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def event_flow(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(a, b, w): transitions between the event types of a user's consecutive events, as counted."""
+    """(a, b, w): transitions between the event types of a user's consecutive events, as counted; events without a user follow nothing."""
     order = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    own = table(spark, sf_dir, "events").select("event_type", F.lag("event_type").over(order).alias("last"))
+    own = table(spark, sf_dir, "events").where("user_id is not null").select("event_type", F.lag("event_type").over(order).alias("last"))
     return own.where("last is not null").groupBy(F.col("last").alias("a"), F.col("event_type").alias("b")).agg(F.count("*").alias("w"))
 
 
@@ -153,17 +157,22 @@ def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pages.select("host", F.explode("hrefs").alias("target")).groupBy("host", "target").agg(F.count("*").alias("w"))
 
 
-def doc_words(spark: SparkSession, sf_dir: str, low: float = 0.02, high: float = 0.4, least: int = 3) -> DataFrame:
-    """Documents by the number of words they share, of words in a middle share of all documents.
+def doc_words(spark: SparkSession, sf_dir: str, low: float = 0.02, high: float = 0.4, least: int = 3, most: int = 20_000, block: int = 1_000) -> DataFrame:
+    """Documents by the number of words they share, of words in a middle share of all documents and in ``most`` at most.
 
-    The share caps how many documents a word can join, so pairs grow with documents times that share.
+    ``most`` keeps pairs in proportion to the documents. A word's documents are dealt into blocks of about
+    ``block``, and pairs of blocks meet in tasks of their own, so a frequent word is no hot key.
     """
     docs = table(spark, sf_dir, "documents")
-    words = docs.select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(r"([\p{L}\p{N}_]{2,})"), F.lit(1)))).alias("word"))
+    words = docs.where("doc_id is not null").select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(r"([\p{L}\p{N}_]{2,})"), F.lit(1)))).alias("word"))
     total = docs.agg(F.count("*").alias("n"))
-    often = words.groupBy("word").agg(F.count("*").alias("df")).crossJoin(F.broadcast(total)).where((F.col("df") >= low * F.col("n")) & (F.col("df") <= high * F.col("n"))).select("word")
-    own = words.join(often, "word")
-    pairs = own.toDF("word", "src").join(own.toDF("word", "dst"), "word").where("src < dst").groupBy("src", "dst").agg(F.count("*").alias("w")).where(F.col("w") >= least)
+    df = words.groupBy("word").agg(F.count("*").alias("df")).crossJoin(F.broadcast(total))
+    often = df.where((F.col("df") >= low * F.col("n")) & (F.col("df") <= F.least(high * F.col("n"), F.lit(most)))).select("word", F.ceil(F.col("df") / block).cast("int").alias("blocks"))
+    own = words.join(often, "word").withColumn("b", F.pmod(F.xxhash64("doc_id"), "blocks").cast("int"))
+    each = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    left = own.withColumn("o", each).select("word", F.col("b").alias("p"), F.col("o").alias("q"), F.col("doc_id").alias("src"))
+    right = own.withColumn("o", each).select("word", F.col("o").alias("p"), F.col("b").alias("q"), F.col("doc_id").alias("dst"))
+    pairs = left.join(right, ["word", "p", "q"]).where("src < dst").groupBy("src", "dst").agg(F.count("*").alias("w")).where(F.col("w") >= least)
     return symmetrize(pairs)
 
 

@@ -54,6 +54,7 @@ def windowed_weights(pairs: DataFrame, length: str = "7 days", slide: str | None
 
 def sessions(events: DataFrame, gap: str = "2 days", late: str = "2 days") -> DataFrame:
     """(user_id, start, end, n): runs of a user's events without a gap; the streaming twin of the user line."""
+    events = events.where("user_id is not null")
     own = events.withWatermark("ts", late) if events.isStreaming else events
     return own.groupBy("user_id", F.session_window("ts", gap).alias("s")).agg(F.count("*").alias("n")).select("user_id", F.col("s.start").alias("start"), F.col("s.end").alias("end"), "n")
 

@@ -55,7 +55,7 @@ def test_distributed_steps_are_not_fixed(spark, monkeypatch):
     """Without given steps the probes decide, and their spans are one run."""
     seen = []
 
-    def two_spans(go, preset):
+    def two_spans(go, preset, deg=None):
         seen.append(np.concatenate((go(8), go(8)), axis=2))
         return seen[0]
 

@@ -141,4 +141,4 @@ def test_pair_swap_repairs_a_bad_split():
 
     g = line(10, 5)
     frame = pd.DataFrame({"src": g.ids[g.src], "dst": g.ids[g.dst], "w": g.p * g.deg[g.src]})
-    assert baselines.pair_swap(frame, {1, 2, 3, 4, 6}) in ({1, 2, 3, 4, 5}, {6, 7, 8, 9, 10})
+    assert baselines.swap_pairs(frame, {1, 2, 3, 4, 6}) in ({1, 2, 3, 4, 5}, {6, 7, 8, 9, 10})
