@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ripplegraph.plans.scratch import BROADCAST_ROWS, Scratch, bounded_broadcast
 
-__all__ = ["BROADCAST_ROWS", "SEPARATORS", "Scratch", "ascii_lower", "bounded_broadcast", "keyed", "same_row", "table", "text_of", "words_of"]
+__all__ = ["BROADCAST_ROWS", "SEPARATORS", "Scratch", "ascii_lower", "bounded_broadcast", "fresh", "keyed", "same_row", "table", "text_of", "words_of"]
 
 #: One or more of the six ASCII separators; everything else belongs to a word.
 SEPARATORS = r"[\x20\x09-\x0D]+"
@@ -39,3 +39,14 @@ def keyed(docs: DataFrame) -> DataFrame:
 
 def same_row(left: DataFrame, right: DataFrame) -> Column:
     return left["doc_id"].eqNullSafe(right["doc_id"]) & (left["th"] == right["th"])
+
+
+def fresh(docs: DataFrame, *names: str) -> list[str]:
+    """``names``, each with as many underscores before it as no column of ``docs`` has (whatever the case)."""
+    have = {c.lower() for c in docs.columns}
+    out = []
+    for name in names:
+        while name.lower() in have:
+            name = f"_{name}"
+        out.append(name)
+    return out
