@@ -16,8 +16,9 @@ whole). Documents link when 100 * intersection >= 75 * union.
    of whole sets from below by their parity bitmaps; survivors are verified on whole sets.
    First each class is tried with the partner that it shares most with, then the other pairs across the
    components that this leaves.
-5. The rest. In lists that still hold several components, all pairs across components become candidates in
-   the same way. Pairs within a component need no link any more.
+5. The rest. In lists that still hold several components, pairs across components become candidates if the
+   smaller set's shingle is in its shorter prefix of ``n - ceil(6 n / 7) + 1``, in blocks of a list, and pass
+   the same filters. Pairs within a component need no link any more. ``NgramJoin.links`` takes all pairs that way.
 
 So links between classes are lost only where both ends are joined already. A null or empty text has an
 empty set and links with nothing. Ids may be null (then the component is of the other ids, or null if
@@ -34,7 +35,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ripplegraph.llm import kernel as K
-from ripplegraph.llm.store import Scratch, bounded_broadcast, keyed, same_row, table, text_of
+from ripplegraph.llm.store import Scratch, bounded_broadcast, fresh, keyed, same_row, table, text_of
 from ripplegraph.operators.components import components
 
 SHINGLE = 5
@@ -45,6 +46,8 @@ BITS = 1024
 #: Sets of so many shingles also get a wide bitmap, for pairs that pass the first.
 WIDE_FROM, WIDE_BITS = 1_000, 32_768
 _BLOCK = 2_000_000
+#: Postings of a list that look for partners in one task.
+LIST_BLOCK = 1_000
 
 _SETS = "doc_id long, th long, n long, lo long, hi long, bits array<long>, wide array<long>, prefix array<long>"
 _KEPT = "shingle long, cid long, n int, pos int, head long, prev long"
@@ -251,8 +254,12 @@ def near_enough(a: str, b: str, n: Column, m: Column) -> Column:
     return differ <= most_apart(n, m)
 
 
+def needed_column(n: Column, m: Column) -> Column:
+    return F.floor(((n + m) * PERCENT + (99 + PERCENT)) / (100 + PERCENT))
+
+
 def most_apart(n: Column, m: Column) -> Column:
-    return n + m - 2 * F.floor(((n + m) * PERCENT + (99 + PERCENT)) / (100 + PERCENT))
+    return n + m - 2 * needed_column(n, m)
 
 
 def _set_blobs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -340,16 +347,51 @@ class NgramJoin:
         own = self.kept.join(labels.withColumnRenamed("id", "cid"), "cid", "left").select("shingle", "cid", "n", "pos", F.coalesce("component", "cid").alias("c"))
         own = self.scratch.save(own, "labelled")
         mixed = self.scratch.save(own.groupBy("shingle").agg(F.min("c").alias("x"), F.max("c").alias("y")).where("x < y").select("shingle"), "mixed")
-        own = own.join(mixed, "shingle").join(self.by_class.select("cid", "bits"), "cid")
-        own = self.scratch.save(own, "open")
-        a, b = own.alias("a"), own.alias("b")
-        apart = (F.col("a.cid") < F.col("b.cid")) & (F.col("a.c") != F.col("b.c"))
-        n, m = F.col("a.n").cast("long"), F.col("b.n").cast("long")
-        sized = F.least(n, m) * 100 >= F.greatest(n, m) * PERCENT
-        placed = F.least(n - F.col("a.pos"), m - F.col("b.pos")) * (100 + PERCENT) >= (n + m) * PERCENT
-        pairs = a.join(b, (F.col("a.shingle") == F.col("b.shingle")) & apart & sized & placed & near_enough("a.bits", "b.bits", n, m)).select(F.col("a.cid").alias("a"), F.col("b.cid").alias("b")).distinct()
+        own = self.scratch.save(own.join(mixed, "shingle").join(self.by_class.select("cid", "bits"), "cid"), "open")
+        pairs = self.shared(own, F.col("a.c") != F.col("b.c"), "across")
         return self.scratch.save(pairs.join(tried.select("a", "b"), ["a", "b"], "left_anti"), "across")
 
+    def shared(self, own: DataFrame, wanted: Column, name: str) -> DataFrame:
+        """(a, b): distinct pairs of classes in posting lists ``own`` that pass all filters; no pair that links is missed.
+
+        The smaller set of two that link (the one of the smaller class if equal) shares one of its
+        ``n - needed(n, n) + 1`` rarest shingles with the larger one's prefix. So only such postings look for
+        partners: a frequent shingle, which is late in the order of its sets, is looked up from few of them or
+        none. Lists are cut into blocks of about ``LIST_BLOCK`` of those that look, each with all of the list.
+        """
+        n = F.col("n").cast("long")
+        seeks = F.col("pos") < n - needed_column(n, n) + 1
+        sizes = own.where(seeks).groupBy("shingle").agg(F.ceil(F.count("*") / LIST_BLOCK).cast("int").alias("blocks"))
+        own = self.scratch.save(own.join(self.scratch.save(sizes, f"{name}-sizes"), "shingle"), f"{name}-lists")
+        a = own.where(seeks).withColumn("part", F.pmod(F.xxhash64("cid"), "blocks").cast("int")).alias("a")
+        b = own.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).alias("b")
+        n, m = F.col("a.n").cast("long"), F.col("b.n").cast("long")
+        order = (n < m) | ((n == m) & (F.col("a.cid") < F.col("b.cid")))
+        sized = n * 100 >= m * PERCENT
+        placed = F.least(n - F.col("a.pos"), m - F.col("b.pos")) >= needed_column(n, m)
+        met = a.join(b, (F.col("a.shingle") == F.col("b.shingle")) & (F.col("a.part") == F.col("b.part")) & order & wanted & sized & placed & near_enough("a.bits", "b.bits", n, m))
+        return met.select(F.least("a.cid", "b.cid").alias("a"), F.greatest("a.cid", "b.cid").alias("b")).distinct()
+
+    def links(self) -> DataFrame:
+        """(a, b): every pair of different classes that link, each verified once; the whole join, not only its components.
+
+        Many near copies of one text have as many links as pairs; then the result itself grows with their square.
+        """
+        self.classes()
+        self.postings()
+        own = self.kept.select("shingle", "cid", "n", "pos").join(self.by_class.select("cid", "bits"), "cid")
+        pairs = self.scratch.save(self.shared(self.scratch.save(own, "whole"), F.lit(True), "whole"), "whole-pairs")
+        return self.verified(self.likely(pairs, "whole"), "whole")
+
+    def link_counts(self) -> DataFrame:
+        """(doc_id, th, n_links): to how many other rows each row links, equal texts included."""
+        links = self.links()
+        ends = self.scratch.save(links.unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))), "ends")
+        rows = self.scratch.save(self.sets.where("n > 0").groupBy("lo", "hi").agg(F.count("*").alias("rows")).join(self.by_class.select("cid", "lo", "hi"), ["lo", "hi"]).select("cid", "rows"), "class-rows")
+        others = ends.join(rows.withColumnRenamed("cid", "b"), "b").groupBy("a").agg(F.sum("rows").alias("others"))
+        counts = self.by_class.select("cid", "lo", "hi").join(rows, "cid").join(others.withColumnRenamed("a", "cid"), "cid", "left").select("lo", "hi", (F.col("rows") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"))
+        return self.sets.join(self.scratch.save(counts, "counts"), ["lo", "hi"], "left").select("doc_id", "th", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+
     def run(self) -> DataFrame:
         """(doc_id, th, n_shingles, group, component_id) for each row; group numbers components, null for empty sets."""
         self.classes()
@@ -387,12 +429,13 @@ def one_of_each(spark: SparkSession, docs: DataFrame) -> DataFrame:
     least = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "th"))
     kept = found.where("group is not null").groupBy("group").agg(least.alias("row")).select("row.doc_id", "row.th")
     empty = found.where("group is null").select("doc_id", "th").distinct()
-    kept = scratch.save(kept.withColumn("one", F.lit(True)).unionByName(empty.withColumn("one", F.lit(False))), "kept-rows").toDF("_id", "_th", "_one")
+    own, of, text, one, copy = fresh(docs, "own_hash", "kept_id", "kept_hash", "kept_one", "kept_copy")
+    kept = scratch.save(kept.withColumn("one", F.lit(True)).unionByName(empty.withColumn("one", F.lit(False))), "kept-rows").toDF(of, text, one)
     scratch.release()
-    rows = docs.withColumn("_own", F.xxhash64(text_of("text")))
-    chosen = rows.join(kept, rows["doc_id"].cast("long").eqNullSafe(kept["_id"]) & (rows["_own"] == kept["_th"]))
-    copy = F.when(F.col("_one"), F.lit(0).cast("long")).otherwise(F.monotonically_increasing_id() + 1)
-    return chosen.withColumn("_copy", copy).dropDuplicates(["_id", "_th", "_copy"]).select(*docs.columns)
+    rows = docs.withColumn(own, F.xxhash64(text_of("text")))
+    chosen = rows.join(kept, rows["doc_id"].cast("long").eqNullSafe(kept[of]) & (rows[own] == kept[text]))
+    number = F.when(F.col(one), F.lit(0).cast("long")).otherwise(F.monotonically_increasing_id() + 1)
+    return chosen.withColumn(copy, number).dropDuplicates([of, text, copy]).select(*docs.columns)
 
 
 def op5_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
