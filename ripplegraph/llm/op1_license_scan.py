@@ -4,10 +4,13 @@ Texts and templates are read as lower-cased words of letters and digits. Hashes
 the smallest of each three in a row is a fingerprint, so any five words in common with a template share
 one. The inverted index of the templates' fingerprints is fixed by the library and small (a few thousand
 entries), and goes to every task. Where a text's fingerprints meet the index, hits of one template that lie
-close together make a candidate region; the template is aligned with the region within ``BAND`` words of the
-hits' diagonals (longest common subsequence), and reported if ``COVERAGE`` of its words are matched there.
-After a report, what the region has left on both sides is aligned again, so repeated notices are all found.
-Of reports that overlap in a text, those with more matched words stay; ties go to the earlier template name.
+close together make a candidate region, whose diagonals differ by ``BAND`` at most, so a region is never longer
+than its template and a few bands. The template is aligned with it within ``BAND`` words of the hits'
+diagonals (longest common subsequence), and reported if ``COVERAGE`` of its words are matched there; of a
+template of ``SHORT`` words or fewer all must be. After a report, what the region has left on both sides is
+aligned again, so repeated notices are all found.
+Of reports that overlap in a text, those with more matched words stay; ties go to the higher coverage, the shorter
+span and the earlier template name.
 
 Each row gives the span in words and in code points of the text, the matched words, and the coverage. Null and empty
 texts have no matches. Ids may be null or repeat; extra columns are ignored.
@@ -15,6 +18,7 @@ texts have no matches. Ids may be null or repeat; extra columns are ignored.
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from collections import defaultdict
 from collections.abc import Iterator
 
@@ -30,9 +34,11 @@ GRAM = 3
 WINNOW = 3
 BAND = 8
 COVERAGE = 0.8
+SHORT = 8
 
 #: Notices and opening grants of public licenses.
 TEMPLATES = {
+    "AGPL-3.0-or-later": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
     "Apache-2.0": "Licensed under the Apache License, Version 2.0.",
     "Apache-2.0-header": "Licensed under the Apache License, Version 2.0 (the \"License\"); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0",
     "BSD-2-Clause": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. 2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.",
@@ -43,6 +49,8 @@ TEMPLATES = {
     "GPL-3.0": "This work is licensed under the GNU General Public License, version 3.",
     "GPL-3.0-or-later": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
     "ISC": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
+    "LGPL-2.1-or-later": "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License, or (at your option) any later version.",
+    "LGPL-3.0-or-later": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
     "MIT": "Released under the MIT License.",
     "MIT-grant": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.",
     "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at http://mozilla.org/MPL/2.0/.",
@@ -92,10 +100,10 @@ class TemplateIndex:
             for t, own in self.postings[k]:
                 by_template[t].append((at, at - own))
         for t, found in by_template.items():
-            found.sort(key=lambda x: x[1])
+            found.sort(key=lambda x: (x[1], x[0]))
             first = 0
             for k in range(1, len(found)):
-                if found[k][1] - found[k - 1][1] > BAND:
+                if found[k][1] - found[first][1] > BAND:
                     yield t, found[first:k]
                     first = k
             yield t, found[first:]
@@ -117,16 +125,16 @@ def align(template: np.ndarray, text: np.ndarray, low: int, high: int) -> tuple[
         own = np.maximum.accumulate(own)
         score[i, a : b + 1] = np.maximum(own, score[i, a - 1])
         score[i, b + 1 :] = score[i, b]
-    i, j, first, last = n, m, 0, 0
+    i, j, first, last = n, int(np.searchsorted(score[n], score[n, m])), 0, 0  # the first end; from there the latest matches, so that the span is short
     while i and j and score[i, j]:
-        if score[i, j] == score[i, j - 1]:
-            j -= 1
-        elif score[i, j] == score[i - 1, j]:
-            i -= 1
-        else:
+        if template[i - 1] == region[j - 1] and score[i, j] == score[i - 1, j - 1] + 1:
             last = last or j
             first = j
             i, j = i - 1, j - 1
+        elif score[i, j] == score[i - 1, j]:
+            i -= 1
+        else:
+            j -= 1
     return int(score[n, m]), begin + first - 1, begin + last
 
 
@@ -140,16 +148,19 @@ def scan(hashed: np.ndarray, index: TemplateIndex, coverage: float) -> list[tupl
         while open_parts:
             a, b, own = open_parts.pop()
             matched, begin, end = align(index.words[t], hashed[a:b], min(d for _, d in own) - a, max(d for _, d in own) - a)
-            if matched >= coverage * len(index.words[t]):
+            if matched >= (1.0 if len(index.words[t]) <= SHORT else coverage) * len(index.words[t]):
                 begin, end = a + begin, a + end
                 found.append((t, matched, begin, end))
                 sides = (a, begin, [h for h in own if h[0] < begin]), (end, b, [h for h in own if h[0] >= end])
                 open_parts += [side for side in sides if side[2]]
     kept: list[tuple[int, int, int, int]] = []
-    for one in sorted(found, key=lambda x: (-x[1], x[3] - x[2], index.names[x[0]], x[2])):
-        if all(one[3] <= k[2] or one[2] >= k[3] for k in kept):
-            kept.append(one)
-    return sorted(kept, key=lambda x: x[2])
+    begins: list[int] = []  # of ``kept``, which do not overlap and are in order
+    for one in sorted(set(found), key=lambda x: (-x[1], len(index.words[x[0]]), x[3] - x[2], index.names[x[0]], x[2])):
+        at = bisect_left(begins, one[2])
+        if (at == 0 or kept[at - 1][3] <= one[2]) and (at == len(kept) or one[3] <= begins[at]):
+            kept.insert(at, one)
+            begins.insert(at, one[2])
+    return kept
 
 
 def _scanned(templates: dict[str, str], coverage: float):
