@@ -34,6 +34,8 @@ from ripplegraph.llm.store import Scratch, table
 DATE = "2024-01-01T00:00:00Z"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 RECORDS_PER_FILE = 4_000
+#: Payload bytes that a file holds on average at most, as files are read whole.
+BYTES_PER_FILE = 64 << 20
 _HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n\r\n"
 _HEADS = "record_id string, record_type string, page_id long, url string, date string, digest string, payload_bytes long, refers_to_record string, refers_to_url string"
 
@@ -130,9 +132,14 @@ def _parsed(payloads: bool):
     return rows
 
 
-def write_archive(rows: DataFrame, path: str) -> None:
-    """Write the ``record`` column as gzipped archives."""
-    rows.select(F.col("record").cast("string").alias("value")).write.mode("overwrite").option("lineSep", "\r\n\r\n").option("compression", "gzip").option("maxRecordsPerFile", RECORDS_PER_FILE).text(path)
+def records_per_file(n: int | None, total: int | None) -> int:
+    """Records of a file, from the number and the payload bytes of all."""
+    return max(1, min(RECORDS_PER_FILE, BYTES_PER_FILE * (n or 0) // max(total or 0, 1) or 1)) if total else RECORDS_PER_FILE
+
+
+def write_archive(rows: DataFrame, path: str, most: int = RECORDS_PER_FILE) -> None:
+    """Write the ``record`` column as gzipped archives of ``most`` records."""
+    rows.select(F.col("record").cast("string").alias("value")).write.mode("overwrite").option("lineSep", "\r\n\r\n").option("compression", "gzip").option("maxRecordsPerFile", most).text(path)
 
 
 def read_archive(spark: SparkSession, path: str, payloads: bool = False) -> DataFrame:
@@ -142,7 +149,8 @@ def read_archive(spark: SparkSession, path: str, payloads: bool = False) -> Data
 
 
 def archive_pages(pages: DataFrame, path: str) -> None:
-    write_archive(pages.select(F.col("page_id").cast("long"), F.col("url").cast("string"), F.col("html").cast("string")).mapInArrow(_first, "record binary"), path)
+    n, total = pages.agg(F.count("*"), F.sum(F.octet_length(F.col("html").cast("string")))).first()
+    write_archive(pages.select(F.col("page_id").cast("long"), F.col("url").cast("string"), F.col("html").cast("string")).mapInArrow(_first, "record binary"), path, records_per_file(n, total))
 
 
 def dedup_archive(spark: SparkSession, source: str, target: str, scratch: Scratch, least: int = 0) -> None:
@@ -153,8 +161,9 @@ def dedup_archive(spark: SparkSession, source: str, target: str, scratch: Scratc
     other = counted.join(originals, "digest").where("record_id <> best.record_id")
     decided = other.select("record_id", F.col("best.record_id").alias("to_record"), F.col("best.url").alias("to_url"), F.col("best.date").alias("to_date"))
     decided = scratch.save(decided, "decided")
+    n, total = heads.agg(F.count("*"), F.sum("payload_bytes")).first()
     whole = read_archive(spark, source, payloads=True).drop("refers_to_record", "refers_to_url")
-    write_archive(whole.join(decided, "record_id", "left").mapInArrow(_second, "record binary"), target)
+    write_archive(whole.join(decided, "record_id", "left").mapInArrow(_second, "record binary"), target, records_per_file(n, total))
 
 
 def resolve(spark: SparkSession, path: str, scratch: Scratch) -> DataFrame:

@@ -1,8 +1,8 @@
 """URL filter: host-suffix and path-prefix expressions, joined on short hash prefixes, then confirmed.
 
 A rule is ``host/path``; it fits its host and all subdomains if the URL's path starts with the rule's.
-Each URL is expanded into one expression for each suffix of its host (at label boundaries) and each path
-length that occurs among the rules. Expressions meet rules on the first 32 bits of a SHA-256 digest, the
+Each URL is expanded into one expression for each suffix of its host (at label boundaries, of as many labels
+as a rule has at most) and each path length that occurs among the rules. Expressions meet rules on the first 32 bits of a SHA-256 digest, the
 whole digests confirm, and the longest rule wins; of equal rules, block wins. Nothing fits: allow.
 
 Host: after the first ``://`` up to ``/``, ``?``, ``#`` or the end, A-Z lower-cased. Path: from there up to
@@ -50,8 +50,9 @@ def filter_urls(spark: SparkSession, pages: DataFrame, rules: list[tuple[str, st
     lengths = sorted(r[0] for r in known.select("path_length").distinct().collect())  # at most as many as a URL is long
     host, path = host_and_path()
     urls = pages.select("page_id", "url").select("page_id", host.alias("host"), path.alias("path"), F.monotonically_increasing_id().alias("row"))
-    labels = F.split("host", r"\.")
-    suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
+    most = known.agg(F.max(F.length("rule") - F.length(F.regexp_replace("rule", r"\.", "")))).first()[0] or 0  # more dots than a rule's host has
+    dots = F.length("host") - F.length(F.translate("host", ".", ""))
+    suffixes = F.transform(F.sequence(F.lit(1), F.least(dots + 1, F.lit(most + 1))), lambda k: F.element_at(F.transform(F.array(F.col("host")), lambda h: F.call_function("substring_index", h, F.lit("."), -k)), 1))
     fitting = F.filter(F.array(*(F.lit(x) for x in lengths)).cast("array<int>"), lambda x: x <= F.length("path"))
     expressions = F.flatten(F.transform(suffixes, lambda s: F.transform(fitting, lambda x: F.concat(s, F.substr(F.col("path"), F.lit(1), x)))))
     spread = urls.select("row", "page_id", "host", "path", F.explode_outer(expressions).alias("expression"))

@@ -30,9 +30,11 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ripplegraph.llm.store import table
+from ripplegraph.llm.store import fresh, table
 
+#: Used only where the session has no key of its own under ``KEY_SETTING``; anyone who reads this can invert it.
 KEY = "ripple-pseudonyms-1"
+KEY_SETTING = "spark.ripplegraph.pii.key"
 ROUNDS = 8
 
 #: Characters of an IBAN by country.
@@ -234,15 +236,23 @@ def pseudonym(v: Column, key: str = KEY, inverse: bool = False) -> Column:
     )
 
 
-def pseudonymise(docs: DataFrame, text: str = "text", key: str = KEY, inverse: bool = False) -> DataFrame:
-    """``docs`` with ``text`` pseudonymised and a column ``n_pseudonyms`` of matches that changed (cards in one run are one)."""
+def pseudonymise(docs: DataFrame, text: str = "text", key: str | None = None, inverse: bool = False, count: str | None = "n_pseudonyms") -> DataFrame:
+    """``docs`` with ``text`` pseudonymised and a column ``count`` of matches that changed (cards in one run are one).
+
+    ``key`` None: the session's ``KEY_SETTING``, or else the known test key. A column of the name ``count`` is
+    replaced; with ``count`` None none is added. All other columns stay, whatever their names.
+    """
+    key = docs.sparkSession.conf.get(KEY_SETTING, KEY) if key is None else key
+    was, now = fresh(docs, "matches_found", "matches_new")
     own = F.col(text)
-    found = docs.withColumn("_matches", F.when(own.rlike(HINT) & own.rlike(ANY), F.regexp_extract_all(own, F.lit(ANY), F.lit(0))))
-    found = found.withColumn("_new", F.transform("_matches", lambda v: pseudonym(v, key, inverse)))
-    pieces = F.transform(F.split(own, ANY), lambda x, i: F.concat(x, F.coalesce(F.get("_new", i), F.lit(""))))
-    changed = F.size(F.filter(F.arrays_zip("_matches", "_new"), lambda z: z["_matches"] != z["_new"]))
-    out = found.withColumn(text, F.when(F.col("_matches").isNull(), own).otherwise(F.array_join(pieces, "")))
-    return out.withColumn("n_pseudonyms", F.coalesce(F.when(F.col("_matches").isNotNull(), changed), F.lit(0)).cast("long")).drop("_matches", "_new")
+    found = docs.withColumn(was, F.when(own.rlike(HINT) & own.rlike(ANY), F.regexp_extract_all(own, F.lit(ANY), F.lit(0))))
+    found = found.withColumn(now, F.transform(was, lambda v: pseudonym(v, key, inverse)))
+    pieces = F.transform(F.split(own, ANY), lambda x, i: F.concat(x, F.coalesce(F.get(now, i), F.lit(""))))
+    changed = F.size(F.filter(F.arrays_zip(was, now), lambda z: z[was] != z[now]))
+    out = found.withColumn(text, F.when(F.col(was).isNull(), own).otherwise(F.array_join(pieces, "")))
+    if count is not None:
+        out = out.withColumn(count, F.coalesce(F.when(F.col(was).isNotNull(), changed), F.lit(0)).cast("long"))
+    return out.drop(was, now)
 
 
 def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
