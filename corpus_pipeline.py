@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ripplegraph.llm import op5_ngram_join, op6_decontamination, op7_toxicity, op8_pii, op10_mixing
-from ripplegraph.llm.store import Scratch, bounded_broadcast, table, text_of
+from ripplegraph.llm.store import Scratch, bounded_broadcast, fresh, table, text_of
 
 
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -28,15 +28,16 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     """Documents that leak a benchmark item go."""
     scratch = Scratch(spark, "decontamination")
     found = op6_decontamination.leaks(spark, docs, table(spark, sf_dir, "benchmark"), scratch)
-    gone = scratch.save(found.select(F.col("doc_id").alias("_id"), F.col("th").alias("_th")).distinct(), "gone")
-    rows = docs.withColumn("_own", F.xxhash64(text_of("text")))
-    same = rows["doc_id"].cast("long").eqNullSafe(gone["_id"]) & (rows["_own"] == gone["_th"])
+    own, of, text = fresh(docs, "own_hash", "gone_id", "gone_hash")
+    gone = scratch.save(found.select(F.col("doc_id").alias(of), F.col("th").alias(text)).distinct(), "gone")
+    rows = docs.withColumn(own, F.xxhash64(text_of("text")))
+    same = rows["doc_id"].cast("long").eqNullSafe(gone[of]) & (rows[own] == gone[text])
     return rows.join(bounded_broadcast(gone, gone.count()), same, "left_anti").select(*docs.columns)
 
 
 def pii(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Personal data become pseudonyms; n_chars follows the text."""
-    changed = op8_pii.pseudonymise(docs).select(*docs.columns)
+    changed = op8_pii.pseudonymise(docs, count=None)
     return changed.withColumn("n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars"))) if "n_chars" in docs.columns else changed
 
 
