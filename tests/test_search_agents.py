@@ -19,7 +19,7 @@ def test_every_supplier_searches(spark, sf, monkeypatch):
     monkeypatch.setattr(queries, "_agents", some)
     monkeypatch.setattr(search, "run", run)
     row = queries.search_modes_agree(spark, sf).first()
-    assert seen == [8, 8] and not row["equal"] and row["covered"]
+    assert seen == [8, 8] and row["gap"] == 0.5 and row["coverage"] == row["of_clusters"] > 0
 
 
 def test_a_lost_agent_is_a_gap(spark):
