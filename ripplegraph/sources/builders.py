@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ripplegraph.operators.graph import symmetrize
+from ripplegraph.operators.neighbours import VectorIndex, exact_nearest, unit_vectors
 from ripplegraph.plans.ordered import ordered
 from ripplegraph.plans.scratch import Scratch
 from ripplegraph.sources.tables import table
@@ -176,31 +177,8 @@ def doc_words(spark: SparkSession, sf_dir: str, low: float = 0.02, high: float =
     return symmetrize(pairs)
 
 
-def emb_knn(spark: SparkSession, sf_dir: str, k: int = 10, block: int = 256) -> DataFrame:
-    """Vectors by cosine to their k nearest: exact, block by block against a stated set of vectors."""
-    import numpy as np
-    import pandas as pd
-
-    vecs = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
-    n = vecs.count()
-    parts = max(1, -(-n // block))
-    numbered = vecs.withColumn("part", F.pmod(F.xxhash64("vec_id"), F.lit(parts)).cast("int"))
-    blocks = F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))
-    left = numbered.withColumn("other", blocks).select(F.col("part").alias("p"), F.col("other").alias("q"), "vec_id", "embedding")
-    right = numbered.withColumn("other", blocks).select(F.col("other").alias("p"), F.col("part").alias("q"), F.col("vec_id").alias("vec_id"), F.col("embedding").alias("embedding"))
-
-    def near(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        if a.empty or b.empty:
-            return pd.DataFrame({"src": [], "dst": [], "w": []})
-        x, y = (np.stack(f["embedding"].to_numpy()).astype(float) for f in (a, b))
-        x, y = x / np.linalg.norm(x, axis=1, keepdims=True), y / np.linalg.norm(y, axis=1, keepdims=True)
-        cos = x @ y.T
-        cos[a["vec_id"].to_numpy()[:, None] == b["vec_id"].to_numpy()[None, :]] = -2
-        top = np.argsort(-cos, axis=1, kind="stable")[:, :k]
-        rows = np.repeat(np.arange(len(x)), top.shape[1])
-        return pd.DataFrame({"src": a["vec_id"].to_numpy()[rows], "dst": b["vec_id"].to_numpy()[top.ravel()], "w": cos[rows, top.ravel()]})
-
-    pairs = left.groupBy("p", "q").cogroup(right.groupBy("p", "q")).applyInPandas(near, "src long, dst long, w double")
-    order = Window.partitionBy("src").orderBy(F.desc("w"), "dst")
-    best = pairs.where("w > -2").withColumn("place", F.row_number().over(order)).where(F.col("place") <= k)
+def emb_knn(spark: SparkSession, sf_dir: str, k: int = 10, indexed: bool = False) -> DataFrame:
+    """Vectors by cosine to their k nearest: exact against all, or by inverted lists of measured recall for many vectors with geometry."""
+    vecs = unit_vectors(table(spark, sf_dir, "embeddings"))
+    best = VectorIndex(spark, vecs, k).nearest() if indexed else exact_nearest(vecs, k)
     return symmetrize(best.select("src", "dst", F.greatest("w", F.lit(1e-9)).alias("w")), how="max")
