@@ -52,3 +52,20 @@ def test_close_modes_are_parted():
 
 def test_regions_tied_alike_are_parted_at_any_size(spark):
     same_as_sql(spark, "region_five", "/root/testdata/sf0.1", "nation")
+
+
+def test_every_label_counts_towards_quality(spark, monkeypatch):
+    """More labels than 20,000 of a class; as bitmaps and joined by id, with awkward ids and qualities."""
+    from ripplegraph.llm import op9_quality
+    from ripplegraph.plans.scratch import Scratch
+
+    many = spark.range(30_000).select(F.col("id").alias("doc_id"), F.lit(1).alias("quality"))
+    odd = spark.createDataFrame([(-1, 1), (-32_769, 0), (1 << 40, 1), (5, 7), (None, 1), (40_000, None)], "doc_id long, quality int").union(spark.createDataFrame([(-32_769, 1)], "doc_id long, quality int"))
+    docs = many.select("doc_id").union(odd.select("doc_id").distinct()).union(spark.createDataFrame([(99_999,)], "doc_id long")).withColumn("text", F.lit("a"))
+    want = {i: 1 for i in range(30_000)} | {-1: 1, -32_769: 1, 1 << 40: 1, 5: None, 99_999: None, None: None, 40_000: None}
+    for bound in (50_000, 0):
+        monkeypatch.setattr(op9_quality, "BROADCAST_ROWS", bound)
+        scratch = Scratch(spark, "t")
+        rows = op9_quality.marked(docs, op9_quality.labelled(many.where("doc_id <> 5").union(odd), scratch), scratch).collect()
+        assert {r.doc_id: r.quality for r in rows} == want and len(rows) == docs.count()
+        assert 5_000 < sum(r.fitting for r in rows) < 7_000 and not any(r.fitting for r in rows if r.quality is None)
