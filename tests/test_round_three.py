@@ -69,3 +69,42 @@ def test_every_label_counts_towards_quality(spark, monkeypatch):
         rows = op9_quality.marked(docs, op9_quality.labelled(many.where("doc_id <> 5").union(odd), scratch), scratch).collect()
         assert {r.doc_id: r.quality for r in rows} == want and len(rows) == docs.count()
         assert 5_000 < sum(r.fitting for r in rows) < 7_000 and not any(r.fitting for r in rows if r.quality is None)
+
+
+def test_searched_vectors_equal_brute_force(spark):
+    """Blocks and spans, equal vectors (smaller ids win), and a common vector; nothing is compared outside the asked rows."""
+    from ripplegraph.operators import neighbours
+
+    x = np.random.default_rng(3).normal(size=(400, 8))
+    x[50:90] = x[7]
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    ids = np.arange(400)
+    cos = x @ x.T
+    np.fill_diagonal(cos, -2)
+    want = {(i, j) for i in range(0, 400, 20) for j in sorted(range(400), key=lambda j: (-round(cos[i, j], 12), j))[:5]}
+    row, at, w = neighbours._searched(ids[::20], x[::20], ids, x, 5, rows=3, span=37)
+    assert set(zip(ids[::20][row].tolist(), at.tolist())) == want and np.allclose(w, cos[ids[::20][row], at])
+    vecs = spark.createDataFrame([(i, [float(v) for v in row]) for i, row in enumerate(x)], "id long, v array<double>")
+    rows = neighbours.searched_nearest(vecs.where("id % 20 = 0"), vecs, 5, block=30, least_parts=3).collect()
+    assert {(r.src, r.dst) for r in rows} == want and len(rows) == 100
+    assert neighbours.searched_nearest(vecs.limit(0), vecs, 5).count() == neighbours.searched_nearest(vecs, vecs.limit(0), 5).count() == 0
+
+
+def test_documents_joined_by_words_equal_the_sql(spark, tmp_path):
+    """Blocks of 5 documents, texts of more than 255 words in common, documents without links and without text."""
+    from ripplegraph.sources import builders
+
+    draw = np.random.default_rng(4)
+    names = [f"w{i}" for i in range(30)]
+    texts = [" ".join(draw.choice(names[:15] if i < 14 else names[15:], 6)) for i in range(28)] + [" ".join(f"x{i}" for i in range(300))] * 4 + [None, "", "alone in here"]
+    docs = spark.createDataFrame([(100 - 3 * i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    docs.coalesce(1).toPandas().to_parquet(f"{tmp_path}/documents.parquet")
+    names, want = rows_of_sql("doc_words_graph", tmp_path, "documents")
+    got = builders.doc_words_joined(spark, str(tmp_path), block=5)
+    assert got.columns == names
+    assert sorted((tuple(r) for r in got.collect()), key=str) == want
+    assert len({r[3] for r in want if r[1]}) >= 3 and max(r[2] for r in want) == 900
+
+
+def test_documents_are_joined_whole(spark):
+    same_as_sql(spark, "doc_words_graph", "/root/testdata/sf0.001", "documents")
