@@ -131,3 +131,8 @@ def reads(query, spark, folder):
 def test_building_graph_reads_a_given_table(spark, sf):
     assert reads("building_graph", spark, sf)[0] == {"customer"}
     same_as_sql(spark, "building_graph", sf, "customer")
+
+
+def test_building_clusters_reads_a_given_table(spark, sf):
+    assert reads("building_clusters", spark, sf)[0] == {"customer"}
+    same_as_sql(spark, "building_clusters", sf, "customer")
