@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from ripplegraph.oracles import _AGENTS, _B3, _FIVE, _MU, _PI, _READ, _REP, _VALUE, BUILDING, C2, CHAIN, DAY_RING, TRADE, fourier, hann, last, loop, u0, wave
+from ripplegraph.oracles import _AGENTS, _B3, _FIVE, _MU, _PI, _READ, _REP, _ROOMS, _VALUE, BUILDING, C2, CHAIN, DAY_RING, TRADE, fourier, hann, last, loop, u0, wave
 
 _TURN = f"{2 * math.pi!r}::DOUBLE"
 
@@ -169,7 +169,7 @@ ORACLES: dict[str, str] = {
     "subspace_path": f"SELECT j::INT AS j, round(1 - cos({_PI} * j / 7), 2) AS lam FROM range(1, 4) t(j)",
     "line_recursive": "SELECT i AS id, ((i - 1) // 8 * 8 + 1)::BIGINT AS group_rep FROM range(1, 33) t(i)",
     "region_five": "SELECT n_nationkey::BIGINT AS n_nationkey, min(n_nationkey) OVER (PARTITION BY n_regionkey)::BIGINT AS group_rep FROM nation",
-    "five_clusters": f"SELECT i AS id, ({_FIVE.replace('id', 'i')})::BIGINT AS cluster FROM range(128) t(i)",
+    "five_clusters": f"SELECT i AS id, ({_FIVE.replace('id', 'i')})::BIGINT AS cluster FROM {_ROOMS}",
     "pair_swap_line": "SELECT i AS id, i <= 5 AS with_first FROM range(1, 11) t(i)",
     "ring_convergence": _CONVERGED,
     "ring_slopes": f"SELECT round(regr_slope(ln(wave_rounds), ln(n)), 4) AS wave_rounds_power, round(regr_slope(ln(walk_rounds), ln(n)), 4) AS walk_rounds_power FROM ({_CONVERGED})",

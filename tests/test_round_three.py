@@ -136,3 +136,8 @@ def test_building_graph_reads_a_given_table(spark, sf):
 def test_building_clusters_reads_a_given_table(spark, sf):
     assert reads("building_clusters", spark, sf)[0] == {"customer"}
     same_as_sql(spark, "building_clusters", sf, "customer")
+
+
+def test_five_clusters_reads_a_given_table(spark, sf):
+    assert reads("five_clusters", spark, sf)[0] == {"customer"}
+    same_as_sql(spark, "five_clusters", sf, "customer")
