@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from ripplegraph import experiment_oracles, experiments, queries
-from ripplegraph.operators import cluster
+from ripplegraph.operators import cluster, estimation
 from ripplegraph.oracles import ORACLES
 from ripplegraph.queries import QUERIES
 from ripplegraph.sources import builders, tables
@@ -141,3 +141,13 @@ def test_building_clusters_reads_a_given_table(spark, sf):
 def test_five_clusters_reads_a_given_table(spark, sf):
     assert reads("five_clusters", spark, sf)[0] == {"customer"}
     same_as_sql(spark, "five_clusters", sf, "customer")
+
+
+def test_kalman_room49_reads_a_given_table(spark, sf):
+    """The rooms are read; all 128 are there, so the numbers are those of the whole building."""
+    seen, rows = reads("kalman_room49", spark, sf)
+    assert seen == {"customer"} and len(rows) == 3
+    edges = builders.building(spark)
+    floors = estimation.experiment(edges, estimation.flows(edges), estimation.floor_partition(spark.range(128)), estimation.Filter(rounds=10))
+    want = estimation.report(floors, queries.ROOM).first()
+    assert next(r for r in rows if r.strategy == "floors_10").rmse == pytest.approx(want.rmse, abs=1e-6)
