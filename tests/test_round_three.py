@@ -151,3 +151,8 @@ def test_kalman_room49_reads_a_given_table(spark, sf):
     floors = estimation.experiment(edges, estimation.flows(edges), estimation.floor_partition(spark.range(128)), estimation.Filter(rounds=10))
     want = estimation.report(floors, queries.ROOM).first()
     assert next(r for r in rows if r.strategy == "floors_10").rmse == pytest.approx(want.rmse, abs=1e-6)
+
+
+def test_basis_table_reads_a_given_table(spark, sf):
+    assert reads("basis_table", spark, sf)[0] == {"lineitem"}
+    same_as_sql(spark, "basis_table", sf, "lineitem")
