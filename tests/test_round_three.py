@@ -156,3 +156,8 @@ def test_kalman_room49_reads_a_given_table(spark, sf):
 def test_basis_table_reads_a_given_table(spark, sf):
     assert reads("basis_table", spark, sf)[0] == {"lineitem"}
     same_as_sql(spark, "basis_table", sf, "lineitem")
+
+
+def test_best_ratio_cut_line_reads_a_given_table(spark, sf):
+    assert reads("best_ratio_cut_line", spark, sf)[0] == {"lineitem"}
+    same_as_sql(spark, "best_ratio_cut_line", sf, "lineitem")
