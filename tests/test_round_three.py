@@ -161,3 +161,8 @@ def test_basis_table_reads_a_given_table(spark, sf):
 def test_best_ratio_cut_line_reads_a_given_table(spark, sf):
     assert reads("best_ratio_cut_line", spark, sf)[0] == {"lineitem"}
     same_as_sql(spark, "best_ratio_cut_line", sf, "lineitem")
+
+
+def test_eigenvalues_path_reads_a_given_table(spark, sf):
+    assert reads("eigenvalues_path", spark, sf)[0] == {"orders"}
+    same_as_sql(spark, "eigenvalues_path", sf, "orders")
