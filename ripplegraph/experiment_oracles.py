@@ -138,7 +138,7 @@ _ROUND = "round({0}, 5) + 0.0 AS {0}"
 _PLACES = f"SELECT id, {_ROUND.format('x')}, {_ROUND.format('y')}"
 #: The months in which there are orders, from 0, and their number.
 _MONTHS = "(SELECT row_number() OVER (ORDER BY m) - 1 AS j, count(*) OVER () AS n FROM (SELECT DISTINCT month(o_orderdate) AS m FROM orders WHERE o_orderdate IS NOT NULL))"
-_CASES = "SELECT c2, bool_or(abs(lam) < 1e-9) AS constant_mode, bool_or(times > 1) AS repeated, bool_or(abs(lam - 2) < 1e-9 AND c2 >= 2) AS alternating_mode FROM (SELECT c2, lam, count(*) AS times FROM (SELECT round(1 - cos({0} * i / 12), 9) AS lam FROM range(12) t(i)), (SELECT unnest([1.99::DOUBLE, 2.0::DOUBLE]) AS c2) GROUP BY ALL) GROUP BY c2"
+_CASES = "SELECT c2, bool_or(abs(lam) < 1e-9) AS constant_mode, bool_or(times > 1) AS repeated, bool_or(abs(lam - 2) < 1e-9 AND c2 >= 2) AS alternating_mode FROM (SELECT c2, lam, count(*) AS times FROM (SELECT round(1 - cos({0} * j / n), 9) AS lam FROM {1}), (SELECT unnest([1.99::DOUBLE, 2.0::DOUBLE]) AS c2) GROUP BY ALL) GROUP BY c2"
 _SWEEP = f"""WITH RECURSIVE e AS MATERIALIZED ({CHAIN}), d AS MATERIALIZED (SELECT src AS id, sum(w) AS deg FROM e GROUP BY 1), p AS MATERIALIZED (SELECT src, dst, 0.5::DOUBLE * w / deg AS p FROM e JOIN d ON src = id UNION ALL SELECT id, id, 0.5::DOUBLE FROM d),
   s(t, id, pi) AS (SELECT 0, 0::BIGINT, 1.0::DOUBLE UNION ALL SELECT t + 1, dst, sum(p * pi) FROM s JOIN p ON src = id WHERE t < 20 GROUP BY t + 1, dst HAVING sum(p * pi) >= 1e-4),
   o AS MATERIALIZED (SELECT id, deg, row_number() OVER (ORDER BY pi / deg DESC, id) AS place FROM s JOIN d USING (id) WHERE t = 20),
@@ -164,7 +164,7 @@ ORACLES: dict[str, str] = {
     "eigenvectors_trade": f"SELECT id, j, round(component, 6) + 0.0 AS component FROM ({_vectors(32)})",
     "gathered_trade": f"SELECT j, (row_number() OVER (PARTITION BY j ORDER BY id) - 1)::INT AS place, round(component, 6) + 0.0 AS component FROM ({_vectors(32)})",
     "vector_angle_trade": f"SELECT a.j, round(acos(least(abs(sum(a.deg * a.component * b.component)) / sqrt(sum(a.deg * a.component ** 2) * sum(a.deg * b.component ** 2)), 1)), 4) + 0.0 AS angle FROM ({_vectors(32)}) a JOIN ({_vectors(48)}) b ON a.id = b.id AND a.j = b.j GROUP BY a.j",
-    "growth_cases_ring": _CASES.format(_TURN),
+    "growth_cases_ring": _CASES.format(_TURN, _MONTHS),
     "state_costs": "SELECT r::INT AS seeds, f::INT AS frequencies, h::INT AS history, (8 * r * (2 + 2 * f + h))::BIGINT AS bytes, (1000 * r * 1000 * r * f)::BIGINT AS gather FROM (SELECT unnest([1, 8]) AS r), (SELECT unnest([0, 1, 4]) AS f), (SELECT unnest([0, 200]) AS h)",
     "eigenvalues_path": f"SELECT j::INT AS j, round(1 - cos({_PI} * j / (n - 1)), 6) + 0.0 AS lam FROM {_MONTHS}",
     "orthogonal_path": f"SELECT j::INT AS j, round(1 - cos({_PI} * j / 7), 4) AS lam FROM range(1, 4) t(j)",

@@ -166,3 +166,8 @@ def test_best_ratio_cut_line_reads_a_given_table(spark, sf):
 def test_eigenvalues_path_reads_a_given_table(spark, sf):
     assert reads("eigenvalues_path", spark, sf)[0] == {"orders"}
     same_as_sql(spark, "eigenvalues_path", sf, "orders")
+
+
+def test_growth_cases_ring_reads_a_given_table(spark, sf):
+    assert reads("growth_cases_ring", spark, sf)[0] == {"orders"}
+    same_as_sql(spark, "growth_cases_ring", sf, "orders")
