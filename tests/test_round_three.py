@@ -171,3 +171,8 @@ def test_eigenvalues_path_reads_a_given_table(spark, sf):
 def test_growth_cases_ring_reads_a_given_table(spark, sf):
     assert reads("growth_cases_ring", spark, sf)[0] == {"orders"}
     same_as_sql(spark, "growth_cases_ring", sf, "orders")
+
+
+def test_horizon_rules_reads_a_given_table(spark, sf):
+    assert reads("horizon_rules", spark, sf)[0] == {"lineitem"}
+    same_as_sql(spark, "horizon_rules", sf, "lineitem")
