@@ -89,6 +89,8 @@ def test_searched_vectors_equal_brute_force(spark):
     vecs = spark.createDataFrame([(i, [float(v) for v in row]) for i, row in enumerate(x)], "id long, v array<double>")
     rows = neighbours.searched_nearest(vecs.where("id % 20 = 0"), vecs, 5, block=30, least_parts=3).collect()
     assert {(r.src, r.dst) for r in rows} == want and len(rows) == 100
+    odd = spark.createDataFrame([(1, [1.0, 0.0]), (2, [1.0, 0.0]), (3, [2.0, 0.0]), (4, None), (5, [0.0, 0.0]), (6, [1.0, None]), (7, [float("nan"), 1.0]), (8, []), (9, [float("inf"), 1.0]), (None, [1.0, 1.0])], "id long, v array<float>")
+    assert sorted((r.src, r.dst, r.w) for r in neighbours.searched_nearest(odd, odd, 1).collect()) == [(1, 2, 1.0), (2, 1, 1.0), (3, 1, 1.0)]
     assert neighbours.searched_nearest(vecs.limit(0), vecs, 5).count() == neighbours.searched_nearest(vecs, vecs.limit(0), 5).count() == 0
 
 
