@@ -178,3 +178,19 @@ def test_growth_cases_ring_reads_a_given_table(spark, sf):
 def test_horizon_rules_reads_a_given_table(spark, sf):
     assert reads("horizon_rules", spark, sf)[0] == {"lineitem"}
     same_as_sql(spark, "horizon_rules", sf, "lineitem")
+
+
+def test_closed_sums_equal_a_run():
+    """Fourier sums from the ends of a run against those of all its steps, on a line with weak links."""
+    n = 30
+    a, w = np.arange(n - 1), np.where(np.isin(np.arange(n - 1), (9, 21)), 0.001, 1.0)
+    g = cluster.LocalGraph.of(np.concatenate((a, a + 1)), np.concatenate((a + 1, a)), np.concatenate((w, w)))
+    run, closed = cluster.Preset(), cluster.Preset(closed=True)
+    for steps in (512, 4_096):
+        z = np.fft.rfft(g.evolve(g.start(run), steps, 1.99) * cluster.window_values("hann", steps), axis=2)
+        power = (g.deg[:, None, None] * np.abs(z) ** 2).sum(axis=(0, 1))
+        part = next(iter(cluster.closed_sums(g, g.start(run), steps, 1.99)))
+        assert np.allclose((g.deg[:, None, None] * np.abs(part) ** 2).sum(axis=(0, 1)), power[:32], rtol=1e-5, atol=1e-9 * power.max())
+        for (o, x), (p, y) in [(cluster.local_modes(g, 2, 1.99, steps, run), cluster.local_modes(g, 2, 1.99, steps, closed))]:
+            assert np.allclose(o, p) and (cluster.codes(x)[0] == cluster.codes(y)[0]).all()
+    assert cluster.stable_steps(g, 1.99, run) == cluster.stable_steps(g, 1.99, closed)
